@@ -32,7 +32,7 @@ from . import bpe_model
 WORDS = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+")
 ASCII_WORDS = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-zA-Z]+|[0-9]|[^\sa-zA-Z0-9\x1c-\x1f]+|[\x1c-\x1f]+")
 SPACES = regex.compile(r"\p{White_Space}+")
-MEMO_WORDS = 300_000
+MEMO_WORDS = 120_000
 LONGEST_MEMO = 64
 
 

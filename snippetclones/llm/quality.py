@@ -33,7 +33,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-BITS, ROWS, STEPS, RATE, RIDGE, WORDS_MEMO, MIN_DOCS, MIN_GAIN = 26, 6000, 300, 0.1, 1e-6, 200_000, 8, 60.0
+BITS, ROWS, STEPS, RATE, RIDGE, WORDS_MEMO, MIN_DOCS, MIN_GAIN = 26, 6000, 300, 0.1, 1e-6, 80_000, 8, 60.0
 DIMS = 1 << BITS
 REJECT_BELOW = 0.5
 SHAPES = re.compile(r"[^\W\d_]+")

@@ -35,8 +35,8 @@ from . import bpe_model
 PRETOKENS = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\p{White_Space}\p{L}\p{N}]+|\p{White_Space}+(?!\P{White_Space})|\p{White_Space}+")
 ASCII_PRETOKENS = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d| ?[a-zA-Z]+| ?[0-9]+| ?[^ \t-\ra-zA-Z0-9]+|[ \t-\r]+(?![^ \t-\r])|[ \t-\r]+")
 CHUNK = 1 << 15
-MEMO = 300_000
-STATES = 100_000
+MEMO = 120_000
+STATES = 40_000
 (START, LETTERS, NUMBERS, OTHERS, BLANK, SPACE, QUOTE, QUOTE_R, QUOTE_V, QUOTE_L) = range(10)
 MODES = tuple(range(10))
 #: A stand-in for the pending character of a mode, where only the mode matters.
