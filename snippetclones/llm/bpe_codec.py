@@ -27,12 +27,13 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from . import bpe_model
+from .common import TwoGenerations
 
 #: The word pattern that the tokenizer file states.
 WORDS = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+")
 ASCII_WORDS = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-zA-Z]+|[0-9]|[^\sa-zA-Z0-9\x1c-\x1f]+|[\x1c-\x1f]+")
 SPACES = regex.compile(r"\p{White_Space}+")
-MEMO_WORDS = 120_000
+MEMO_WORDS = 130_000
 LONGEST_MEMO = 64
 
 
@@ -48,7 +49,7 @@ class BpeCodec:
         self.length = {i: len(s) for s, i in self.model.id_of.items()}
         marks = sorted(self.model.specials, key=len, reverse=True)
         self.marks = re.compile("(" + "|".join(map(re.escape, marks)) + ")") if marks else None
-        self.memo: dict[str, tuple[bytes, str]] = {}
+        self.memo = TwoGenerations(MEMO_WORDS)
 
     def word_ids(self, word: str) -> list[int]:
         """Ids of one word: the dynamic programme over its prefixes."""
@@ -75,9 +76,7 @@ class BpeCodec:
         ids = self.word_ids(word)
         got = struct.pack(f"<{len(ids)}I", *ids), self.decode(ids)
         if len(word) <= LONGEST_MEMO:
-            if len(self.memo) >= MEMO_WORDS:
-                self.memo.clear()
-            self.memo[word] = got
+            self.memo.put(word, got)
         return got
 
     def pack(self, text: str | None) -> tuple[bytes, str]:
@@ -91,7 +90,7 @@ class BpeCodec:
                 shown.append(part)
             elif part:
                 for word in self.words(part):
-                    got = memo.get(word) or make(word)
+                    got = memo.young.get(word) or memo.get(word) or make(word)
                     ids.append(got[0])
                     shown.append(got[1])
         return b"".join(ids), " ".join(shown)

@@ -34,7 +34,7 @@ def byte_alphabet() -> list[str]:
 class MergeModel:
     """Vocabulary, ranked merges and a memoised compatibility test."""
 
-    MEMO = 1 << 18
+    MEMO = 1 << 19
 
     def __init__(self, path: str):
         with open(path, encoding="utf-8") as f:
