@@ -30,13 +30,14 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from . import bpe_model
+from .common import TwoGenerations
 
 #: The public byte-level pre-tokenizer pattern.
 PRETOKENS = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\p{White_Space}\p{L}\p{N}]+|\p{White_Space}+(?!\P{White_Space})|\p{White_Space}+")
 ASCII_PRETOKENS = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d| ?[a-zA-Z]+| ?[0-9]+| ?[^ \t-\ra-zA-Z0-9]+|[ \t-\r]+(?![^ \t-\r])|[ \t-\r]+")
 CHUNK = 1 << 15
-MEMO = 120_000
-STATES = 40_000
+MEMO = 250_000
+STATES = 300_000
 (START, LETTERS, NUMBERS, OTHERS, BLANK, SPACE, QUOTE, QUOTE_R, QUOTE_V, QUOTE_L) = range(10)
 MODES = tuple(range(10))
 #: A stand-in for the pending character of a mode, where only the mode matters.
@@ -91,7 +92,7 @@ class CountTransducer:
         self.merge = MergeStates(self.model)
         marks = sorted(self.model.specials, key=len, reverse=True)
         self.marks = re.compile("|".join(map(re.escape, marks))) if marks else None
-        self.memo: dict[str, int] = {}
+        self.memo = TwoGenerations(MEMO)
         self.classes: dict[str, int] = {}
 
     # --- transitions -------------------------------------------------------
@@ -174,13 +175,11 @@ class CountTransducer:
         """Tokens of whole pre-tokens: memoised compositions of transitions from the start state."""
         total, memo = 0, self.memo
         for p in pretokens:
-            n = memo.get(p)
+            n = memo.young.get(p) or memo.get(p)
             if n is None:
                 n = self.feed(0, p)[1]
                 if len(p) <= 64:
-                    if len(memo) >= MEMO:
-                        memo.clear()
-                    memo[p] = n
+                    memo.put(p, n)
             total += n
         return total
 
