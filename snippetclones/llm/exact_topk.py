@@ -1,11 +1,10 @@
 """Operator 3 - exact top-k by an impact-ordered, score-at-a-time index.
 
-Rows are dealt into tiles of bounded size; a tile indexes each dimension as
-posting segments of descending quantised impact.  A query takes the segments of
-all dimensions in descending order of their largest possible contribution and
-adds them to integer accumulators.  After each batch the contributions still
-open give an upper bound for every row; processing stops only when that proves
-which few rows can still be among the best, and these are rescored exactly.
+Rows are dealt into tiles of bounded size; a tile keeps its postings in segments
+of descending quantised impact.  A block of queries adds segment after segment to
+its accumulators.  After each, the norm of what a row has left bounds its final
+score from both sides; a query stops only when that proves which few rows can
+still be among its best, and these are rescored exactly in integers.
 
 Queries are tiled as well, so a task holds ``ROWS`` rows and ``QUERIES``
 queries at any input size; each tile returns its own k best and a window merges them.
@@ -25,7 +24,7 @@ from pyspark.sql import functions as F
 
 from . import vectors
 
-ROWS, QUERIES, LEVELS, BATCH, RESCORE = 8192, 2048, 16, 64, 64
+ROWS, QUERIES, LEVELS, BLOCK, RESCORE, SHARES = 8192, 2048, 64, 128, 256, (0.5, 0.75, 0.9)
 SCHEMA = "query_id long, vec_id long, score long"
 CLIP = float(1 << 26)
 
@@ -36,56 +35,56 @@ def quantise(v, scale: float = 256.0):
 
 
 class ImpactIndex:
-    """Posting segments of one tile: for each dimension the rows in ascending order of impact, cut into levels of equal width."""
+    """Postings of one tile in segments of descending quantised impact.
+
+    A posting is a row's component in one dimension and its impact is the magnitude, quantised to
+    ``LEVELS`` steps.  Segments hold whole levels; each is kept as a matrix that is zero outside it,
+    so that a block of queries adds a segment in one product.  ``rest`` is, after each segment, the
+    norm of what a row has left, which bounds what any query can still add or take away.
+    """
 
     def __init__(self, x: np.ndarray):
-        self.x, (self.n, self.dims) = x, x.shape
-        self.rows = np.argsort(x, axis=0, kind="stable").T
-        self.impact = np.take_along_axis(x.T, self.rows, axis=1)
-        low, high = self.impact[:, :1], self.impact[:, -1:]
-        level = (self.impact - low) * LEVELS // np.maximum(high - low + 1, 1)
-        self.cut = np.stack([np.searchsorted(row, np.arange(LEVELS + 1)) for row in level])
-        self.low, self.high = low[:, 0], high[:, 0]
-        first, last = np.minimum(self.cut[:, :-1], self.n - 1), np.maximum(self.cut[:, 1:] - 1, 0)
-        self.seg_low, self.seg_high = np.take_along_axis(self.impact, first, 1), np.take_along_axis(self.impact, last, 1)
-        self.filled = self.cut[:, 1:] > self.cut[:, :-1]
-
-    def search(self, q: np.ndarray, k: int, skip: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Rows and exact scores of the k best rows that aren't in ``skip``; ties by row order (ids ascend)."""
-        base = np.minimum(q * self.low, q * self.high)  # a dimension's least contribution
-        most = np.maximum(q[:, None] * self.seg_low, q[:, None] * self.seg_high) - base[:, None]
-        d, s = np.nonzero(self.filled & (q != 0)[:, None])
-        order = np.argsort(-most[d, s], kind="stable")
-        d, s = d[order], s[order]
-        seen: dict[int, int] = {}
-        drop = np.zeros(len(d), np.int64)  # by how much the open contributions shrink with each segment
-        for i in range(len(d) - 1, -1, -1):
-            drop[i] = most[d[i], s[i]] - seen.get(d[i], 0)
-            seen[d[i]] = most[d[i], s[i]]
-        still = sum(seen.values()) - np.cumsum(drop)
-        scores = np.zeros(self.n)
-        lost = -1.0
-        keep = min(k, self.n - len(skip))
-        members = np.setdiff1d(np.arange(self.n), skip)
-        for at in range(0, len(d), BATCH):
-            spans = [(a, self.cut[a, b], self.cut[a, b + 1]) for a, b in zip(d[at : at + BATCH], s[at : at + BATCH], strict=True)]
-            ids = np.concatenate([self.rows[a, i:j] for a, i, j in spans])
-            add = np.concatenate([q[a] * self.impact[a, i:j] - base[a] for a, i, j in spans])
-            scores += np.bincount(ids, add, self.n)
-            scores[skip] = lost
-            if keep and at + BATCH >= len(d) // 4:
-                floor = np.partition(scores, self.n - keep)[self.n - keep]
-                could = np.flatnonzero(scores + still[min(at + BATCH, len(d)) - 1] >= floor)
-                could = could[scores[could] >= 0]
-                if len(could) <= max(RESCORE, keep):  # proof: no other row can reach the k-th best
-                    members = could
-                    break
-        exact = self.x[members] @ q
-        if len(members) > 4 * keep > 0:
-            floor = np.partition(exact, len(exact) - keep)[len(exact) - keep]
-            members, exact = members[exact >= floor], exact[exact >= floor]
-        best = np.lexsort((members, -exact))[:keep]
-        return members[best], exact[best]
+        self.x, self.n = x, len(x)
+        size = np.abs(x)
+        level = size * LEVELS // max(1, int(size.max(initial=0)) + 1)
+        share = np.cumsum(np.bincount(level.ravel(), minlength=LEVELS)[::-1]) / max(1, x.size)  # from the highest level on
+        cuts = sorted({int(np.searchsorted(share, s)) for s in SHARES} | {LEVELS - 1})
+        self.segments, self.rest, top = [], [], LEVELS
+        left = x.astype(float)
+        for c in cuts:
+            low = LEVELS - 1 - c
+            part = np.where((level >= low) & (level < top), left, 0.0)
+            left = left - part
+            self.segments.append(part.T.copy())
+            self.rest.append(np.sqrt((left**2).sum(axis=1)))
+            top = low
+
+    def search(self, q: np.ndarray, k: int, own: list[np.ndarray]) -> list[tuple[np.ndarray, np.ndarray]]:
+        """For each query of the block: rows and exact scores of its k best rows outside ``own``; ties by row order (ids ascend)."""
+        norm = np.sqrt((q.astype(float) ** 2).sum(axis=1))
+        scores = np.zeros((len(q), self.n))
+        out: list = [None] * len(q)
+        still = np.arange(len(q))
+        for part, rest in zip(self.segments, self.rest, strict=True):
+            scores[still] += q[still].astype(float) @ part
+            closed = []
+            for i in still:
+                keep = min(k, self.n - len(own[i]))
+                slack = norm[i] * rest * (1 + 1e-9) + 1e-9 * norm[i] + 1e-6
+                low = scores[i] - slack
+                low[own[i]] = -np.inf
+                floor = np.partition(low, self.n - keep)[self.n - keep] if keep else np.inf
+                could = np.flatnonzero(scores[i] + slack >= floor)
+                could = np.setdiff1d(could, own[i], assume_unique=True)
+                if len(could) <= max(RESCORE, keep) or part is self.segments[-1]:  # proof: no other row can be among the k best
+                    exact = self.x[could] @ q[i]
+                    best = np.lexsort((could, -exact))[:keep]
+                    out[i] = could[best], exact[best]
+                    closed.append(i)
+            still = np.setdiff1d(still, closed, assume_unique=True)
+            if not len(still):
+                break
+        return out
 
 
 def _tile(k: int):
@@ -97,12 +96,14 @@ def _tile(k: int):
             x, q = vectors.matrix(rows["v"], np.int64)[order], vectors.matrix(queries["v"], np.int64)
             ids, width = ids[order], max(x.shape[1], q.shape[1])
             index = ImpactIndex(vectors.widen(x, width))
-            for qid, vec in zip(np.asarray(queries["vec_id"]), vectors.widen(q, width), strict=True):
-                own = np.arange(*np.searchsorted(ids, [qid, qid + 1]))
-                at, score = index.search(vec, k, own)
-                out_q.append(np.full(len(at), qid))
-                out_v.append(ids[at])
-                out_s.append(score)
+            qids, q = np.asarray(queries["vec_id"]), vectors.widen(q, width)
+            for at in range(0, len(qids), BLOCK):
+                block = qids[at : at + BLOCK]
+                own = [np.arange(*np.searchsorted(ids, [i, i + 1])) for i in block]
+                for qid, (rows_at, score) in zip(block, index.search(q[at : at + BLOCK], k, own), strict=True):
+                    out_q.append(np.full(len(rows_at), qid))
+                    out_v.append(ids[rows_at])
+                    out_s.append(score)
         cat = lambda parts: pa.array(np.concatenate(parts) if parts else np.zeros(0, np.int64), pa.int64())
         return pa.table({"query_id": cat(out_q), "vec_id": cat(out_v), "score": cat(out_s)})
 
