@@ -7,7 +7,7 @@ and documents are selected by the tail probability.
 
 Features of a text, hashed to ``DIMS`` places; those seen in at least ``MIN_DOCS``
 fitted documents whose presence depends on the grade (chi-square above
-``MIN_GAIN``) carry weight, the others stay at zero and aren't stored: each distinct lower-cased word's
+``MIN_GAIN``, less for few rows) carry weight, the others stay at zero and aren't stored: each distinct lower-cased word's
 core, each word's shape (letter case and the punctuation around it), and the
 tenth in which the share of words that repeat the one before falls.  Core words
 count by presence, shapes by their share of the words.
@@ -111,7 +111,7 @@ def fit_rows(rows: list[tuple[np.ndarray, np.ndarray, int]], steps: int = STEPS)
     for g, n in enumerate(np.bincount(y)):
         expect = docs * (n / len(y))
         chi += (np.bincount(at[y[owner] == g], minlength=len(places)) - expect) ** 2 / expect
-    held &= chi >= min(MIN_GAIN, chi[held].max() / 2) if held.any() else held
+    held &= chi >= min(MIN_GAIN, max(20.0, len(rows) / 100), chi[held].max() / 2) if held.any() else held
     if not held.any():
         return None
     fitted = held[at]
