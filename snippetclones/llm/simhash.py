@@ -34,6 +34,7 @@ from .components import components
 
 SEED = 42
 BITS = 64
+BLOCK = 1024  # texts a side of a verification block
 
 
 def words(text: str | None) -> list[bytes]:
@@ -130,7 +131,10 @@ def bucket_leaders(nodes: DataFrame, radius: int, segments: int) -> DataFrame:
 
 
 def verified(pairs: DataFrame, docs: DataFrame, rid: str, size: int, similarity: float, text: str = "text") -> DataFrame:
-    """Pairs of row numbers whose texts' ``size``-word shingle sets have a Jaccard similarity of ``similarity`` or more."""
+    """Pairs of row numbers whose texts' ``size``-word shingle sets have a Jaccard similarity of ``similarity`` or more.
+
+    Pairs are dealt into blocks by both ends, so a text's set travels once a block and not once a pair.
+    """
     wanted = pairs.select(F.col("a").alias(rid)).union(pairs.select(F.col("b").alias(rid))).distinct()
     source = docs.join(wanted, rid, "left_semi").select(F.col(rid).alias("rid"), F.col(text).cast("string").alias("t"))
 
@@ -141,10 +145,27 @@ def verified(pairs: DataFrame, docs: DataFrame, rid: str, size: int, similarity:
             yield pa.RecordBatch.from_arrays([b["rid"], pa.array(sets, kind)], names=["rid", "sh"])
 
     sets = cut(source.mapInArrow(run, "rid long, sh array<long>"))
-    both = pairs.join(sets.select(F.col("rid").alias("a"), F.col("sh").alias("sa")), "a").join(sets.select(F.col("rid").alias("b"), F.col("sh").alias("sb")), "b")
-    common = F.size(F.array_intersect("sa", "sb"))
-    union = F.size("sa") + F.size("sb") - common
-    return both.where((union == 0) | (common >= F.lit(similarity) * union)).select("a", "b")
+    blocks = F.lit(max(1, -(-sets.count() // BLOCK)))
+    of = lambda c: F.pmod(F.xxhash64(c), blocks).cast("int")
+    keyed = pairs.select(of("a").alias("ba"), of("b").alias("bb"), "a", "b")
+    members = keyed.select(F.col("ba").alias("ka"), F.col("bb").alias("kb"), F.explode(F.array("a", "b")).alias("rid")).distinct().join(sets, "rid")
+
+    def compare(_key, these: pa.Table, held: pa.Table) -> pa.Table:
+        column = held["sh"].combine_chunks()
+        ends, flat = np.asarray(column.offsets), np.asarray(column.values)
+        place = {int(r): flat[ends[i] : ends[i + 1]] for i, r in enumerate(np.asarray(held["rid"]))}
+        keep = []
+        for a, b in zip(np.asarray(these["a"]), np.asarray(these["b"]), strict=True):
+            x, y = place[int(a)], place[int(b)]
+            if min(len(x), len(y)) < similarity * max(len(x), len(y)):
+                keep.append(False)
+                continue
+            common = len(np.intersect1d(x, y, assume_unique=True))
+            union = len(x) + len(y) - common
+            keep.append(union == 0 or common >= similarity * union)
+        return these.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
+
+    return keyed.groupBy("ba", "bb").cogroup(members.groupBy("ka", "kb")).applyInArrow(compare, "a long, b long")
 
 
 def near_duplicates(docs: DataFrame, radius: int = 3, segments: int = 2, features: str = "shingles", size: int = 3, verify: tuple[int, float] | None = None, doc_id: str = "doc_id", text: str = "text") -> tuple[DataFrame, DataFrame, str]:
