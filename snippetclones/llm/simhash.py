@@ -10,7 +10,10 @@ segment finds is not taken again.
 
 Work is done on classes of equal fingerprints (or equal texts), so a group of
 exact copies is one node, and distinct fingerprints bound each node's links.
-With ``verify``, links also need a Jaccard similarity of word shingles; then a
+With ``verify``, links also need a Jaccard similarity of word shingles.  Each
+node then carries the size of its shingle set and a parity sketch of it, which
+bound the similarity of a pair from above inside the join, so that pairs that
+can't reach the threshold never leave it; those left are compared exactly.  A
 first round compares each node with the least node of its buckets, and the full
 probe skips pairs that are already connected - no link between components is
 lost, and a large group of near copies doesn't become all its pairs.
@@ -35,6 +38,8 @@ from .components import components
 SEED = 42
 BITS = 64
 BLOCK = 1024  # texts a side of a verification block
+SKETCH = 512  # bits of a parity sketch, kept as 64-bit words
+SKETCH_WORDS = [f"sk{i}" for i in range(SKETCH // BITS)]
 
 
 def words(text: str | None) -> list[bytes]:
@@ -62,27 +67,45 @@ def fingerprint(h: np.ndarray) -> int:
     return int(np.packbits(2 * votes > len(h)).view(">i8")[0]) if len(h) else 0
 
 
+def shingle_set(text: str | None, size: int) -> np.ndarray:
+    """Ascending distinct hashes of a text's word shingles, as signed 64-bit integers."""
+    return np.unique(hashes(shingles(words(text), size)).view(np.int64))
+
+
+def parity_sketch(distinct: np.ndarray) -> np.ndarray:
+    """Bit i is the parity of how many hashes of a set fall on place i; two sketches differ in at most as many bits as the sets have unshared members."""
+    odd = np.bincount(distinct & (SKETCH - 1), minlength=SKETCH).astype(np.uint8) & 1
+    return np.packbits(odd).view(">i8").astype(np.int64)
+
+
 def numbered(docs: DataFrame) -> tuple[DataFrame, str]:
     """``docs`` with a row number by file position, and its column name."""
     rid = fresh_name(docs, "rid")
     return docs.withColumn(rid, F.monotonically_increasing_id()), rid
 
 
-def signatures(docs: DataFrame, rid: str, features: str, size: int, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """``(rid, doc_id, fp, th)``: fingerprint of the repeated ``shingles`` or of the ``distinct`` words, and a hash of the word sequence."""
+def signatures(docs: DataFrame, rid: str, features: str, size: int, doc_id: str = "doc_id", text: str = "text", sketch: int | None = None) -> DataFrame:
+    """``(rid, doc_id, fp, th, m, sk)``: fingerprint of the repeated ``shingles`` or of the ``distinct`` words, and a hash of the word sequence.
+
+    With ``sketch``, m and sk are the size and the parity sketch of the set of shingles of so many words, else null.
+    """
     source = docs.select(F.col(rid).alias("rid"), F.col(doc_id).cast("long").alias("doc_id"), F.col(text).cast("string").alias("t"))
 
     def run(batches):
         for b in batches:
-            fps, ths = [], []
+            fps, ths, sizes, sketches = [], [], [], []
             for t in b["t"]:
                 tokens = words(t.as_py())
                 parts = shingles(tokens, size) if features == "shingles" else list(dict.fromkeys(tokens))
                 fps.append(fingerprint(hashes(parts)))
                 ths.append(xxhash.xxh3_128_digest(b" ".join(tokens)))
-            yield pa.RecordBatch.from_arrays([b["rid"], b["doc_id"], pa.array(fps, pa.int64()), pa.array(ths, pa.binary())], names=["rid", "doc_id", "fp", "th"])
+                held = shingle_set(t.as_py(), sketch) if sketch else None
+                sizes.append(None if held is None else len(held))
+                sketches.append(None if held is None else parity_sketch(held))
+            columns = [b["rid"], b["doc_id"], pa.array(fps, pa.int64()), pa.array(ths, pa.binary()), pa.array(sizes, pa.int64()), pa.array(sketches, pa.list_(pa.int64()))]
+            yield pa.RecordBatch.from_arrays(columns, names=["rid", "doc_id", "fp", "th", "m", "sk"])
 
-    return source.mapInArrow(run, "rid long, doc_id long, fp long, th binary")
+    return source.mapInArrow(run, "rid long, doc_id long, fp long, th binary, m long, sk array<long>")
 
 
 def _segments(count: int) -> list[tuple[int, int]]:
@@ -95,13 +118,26 @@ def _value(fp, shift: int, width: int):
     return F.shiftrightunsigned(fp, shift).bitwiseAND(F.lit((1 << width) - 1)) if width < BITS else fp
 
 
-def near_pairs(nodes: DataFrame, radius: int, segments: int, apart: bool = False) -> DataFrame:
-    """Pairs ``(a, b)``, a < b, of ``nodes(node, fp[, root])`` within ``radius`` bits, each once; ``apart``: only across roots."""
+def may_reach(similarity: float, x: str, y: str):
+    """Whether sizes and sketches leave room for a Jaccard similarity: never false for a pair that has it.
+
+    Sets of a and b members with d unshared ones have similarity (a + b - d) / (a + b + d), and d is at least the sketches' distance.
+    """
+    a, b = F.col(f"{x}.m"), F.col(f"{y}.m")
+    apart = sum((F.bit_count(F.col(f"{x}.{c}").bitwiseXOR(F.col(f"{y}.{c}"))) for c in SKETCH_WORDS[1:]), F.bit_count(F.col(f"{x}.{SKETCH_WORDS[0]}").bitwiseXOR(F.col(f"{y}.{SKETCH_WORDS[0]}"))))
+    return (F.least(a, b) >= F.greatest(a, b) * F.lit(similarity - 1e-9)) & (apart <= (a + b) * F.lit((1 - similarity) / (1 + similarity) + 1e-9))
+
+
+def near_pairs(nodes: DataFrame, radius: int, segments: int, apart: bool = False, similarity: float | None = None) -> DataFrame:
+    """Pairs ``(a, b)``, a < b, of ``nodes(node, fp[, root, m, sk0 ..])`` within ``radius`` bits, each once.
+
+    ``apart``: only across roots; ``similarity``: only pairs whose sketches leave room for it.
+    """
     ball = radius // segments
     if ball > 1:
         raise ValueError("radius must stay below twice the number of segments")
     parts, fp = _segments(segments), F.col("fp")
-    kept = ["node", "fp", *(["root"] if apart else [])]
+    kept = ["node", "fp", *(["root"] if apart else []), *(["m", *SKETCH_WORDS] if similarity else [])]
     own = F.array(*[F.struct(F.lit(s).alias("seg"), _value(fp, *p).alias("key")) for s, p in enumerate(parts)])
     table = nodes.select(*kept, F.explode(own).alias("e")).select(*kept, "e.seg", "e.key")
     entry = lambda s, p, bit: F.struct(F.lit(s).alias("seg"), (_value(fp, *p).bitwiseOR(F.lit(1 << bit))).alias("key"), F.lit(True).alias("flipped"))
@@ -118,16 +154,20 @@ def near_pairs(nodes: DataFrame, radius: int, segments: int, apart: bool = False
     match = (F.col("x.seg") == F.col("y.seg")) & (F.col("x.key") == F.col("y.key")) & (F.bit_count(diff) <= radius) & (F.col("x.flipped") | (F.col("x.node") < F.col("y.node"))) & ~earlier
     if apart:
         match = match & (F.col("x.root") != F.col("y.root"))
+    if similarity:
+        match = match & may_reach(similarity, "x", "y")
     return x.join(y, match).select(F.least("x.node", "y.node").alias("a"), F.greatest("x.node", "y.node").alias("b"))
 
 
-def bucket_leaders(nodes: DataFrame, radius: int, segments: int) -> DataFrame:
-    """Pairs of each node with the least node of each of its buckets, where within ``radius`` bits."""
+def bucket_leaders(nodes: DataFrame, radius: int, segments: int, similarity: float) -> DataFrame:
+    """Pairs of each node with the least node of each of its buckets, where within ``radius`` bits and with room for ``similarity``."""
+    kept = ["node", "fp", "m", *SKETCH_WORDS]
     own = F.array(*[F.struct(F.lit(s).alias("seg"), _value(F.col("fp"), *p).alias("key")) for s, p in enumerate(_segments(segments))])
-    rows = nodes.select("node", "fp", F.explode(own).alias("e")).select("node", "fp", "e.seg", "e.key")
-    least = rows.groupBy("seg", "key").agg(F.min(F.struct("node", "fp")).alias("least"), F.count("*").alias("n")).where("n > 1").select("seg", "key", "least")
-    near = rows.join(least, ["seg", "key"]).where((F.col("node") > F.col("least.node")) & (F.bit_count(F.col("fp").bitwiseXOR(F.col("least.fp"))) <= radius))
-    return near.select(F.col("least.node").alias("a"), F.col("node").alias("b")).distinct()
+    rows = nodes.select(*kept, F.explode(own).alias("e")).select(*kept, "e.seg", "e.key")
+    least = rows.groupBy("seg", "key").agg(F.min(F.struct(*kept)).alias("least"), F.count("*").alias("n")).where("n > 1").select("seg", "key", "least.*")
+    x, y = rows.alias("x"), least.alias("y")
+    near = (F.col("x.node") > F.col("y.node")) & (F.bit_count(F.col("x.fp").bitwiseXOR(F.col("y.fp"))) <= radius) & may_reach(similarity, "x", "y")
+    return x.join(y, (F.col("x.seg") == F.col("y.seg")) & (F.col("x.key") == F.col("y.key")) & near).select(F.col("y.node").alias("a"), F.col("x.node").alias("b")).distinct()
 
 
 def verified(pairs: DataFrame, docs: DataFrame, rid: str, size: int, similarity: float, text: str = "text") -> DataFrame:
@@ -141,7 +181,7 @@ def verified(pairs: DataFrame, docs: DataFrame, rid: str, size: int, similarity:
     def run(batches):
         kind = pa.list_(pa.int64())
         for b in batches:
-            sets = [np.unique(hashes(shingles(words(t.as_py()), size)).view(np.int64)) for t in b["t"]]
+            sets = [shingle_set(t.as_py(), size) for t in b["t"]]
             yield pa.RecordBatch.from_arrays([b["rid"], pa.array(sets, kind)], names=["rid", "sh"])
 
     sets = cut(source.mapInArrow(run, "rid long, sh array<long>"))
@@ -171,17 +211,18 @@ def verified(pairs: DataFrame, docs: DataFrame, rid: str, size: int, similarity:
 def near_duplicates(docs: DataFrame, radius: int = 3, segments: int = 2, features: str = "shingles", size: int = 3, verify: tuple[int, float] | None = None, doc_id: str = "doc_id", text: str = "text") -> tuple[DataFrame, DataFrame, str]:
     """Class membership ``(rid, doc_id, fp, component_id, keep)`` - one ``keep`` row a class - with the numbered input and its number column."""
     rows, rid = numbered(docs)
-    base = cut(signatures(rows, rid, features, size, doc_id, text))
+    base = cut(signatures(rows, rid, features, size, doc_id, text, verify[0] if verify else None))
     kind = ["fp", "th"] if verify else ["fp"]
     first = F.min(F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "rid")).alias("first")
-    classes = base.groupBy(*kind).agg(first)
-    nodes = classes.select(F.col("first.rid").alias("node"), *kind, "first")
+    classes = base.groupBy(*kind).agg(first, F.first("m").alias("m"), F.first("sk").alias("sk"))  # equal texts have equal sketches
+    sketch = [F.get("sk", F.lit(i)).alias(c) for i, c in enumerate(SKETCH_WORDS)]
+    nodes = classes.select(F.col("first.rid").alias("node"), *kind, "first", *(["m", *sketch] if verify else []))
     if verify:
         nodes = cut(nodes)
-        early = cut(verified(cut(bucket_leaders(nodes, radius, segments)), rows, rid, *verify, text))
+        early = cut(verified(cut(bucket_leaders(nodes, radius, segments, verify[1])), rows, rid, *verify, text))
         roots = cut(components(early))
-        placed = nodes.join(roots, "node", "left").select("node", "fp", F.coalesce("root", "node").alias("root"))
-        edges = early.union(verified(cut(near_pairs(cut(placed), radius, segments, apart=True)), rows, rid, *verify, text))
+        placed = nodes.join(roots, "node", "left").select("node", "fp", F.coalesce("root", "node").alias("root"), "m", *SKETCH_WORDS)
+        edges = early.union(verified(cut(near_pairs(cut(placed), radius, segments, apart=True, similarity=verify[1])), rows, rid, *verify, text))
     else:
         edges = near_pairs(nodes.select("node", "fp"), radius, segments)
     member = cut(components(edges))

@@ -289,3 +289,21 @@ def test_pipeline(spark):
     out = corpus_pipeline.STAGES[-1][1](spark, now, DIR)
     assert out.count() == now.count() > 0
     assert all(r.n_tokens * 4 == len(r.ids_le) for r in out.collect())
+
+
+def test_sketch_bound_keeps_every_similar_pair(spark):
+    rng = np.random.default_rng(11)
+    rows, sets = [], []
+    for size in (0, 1, 5, 40, 300, 4000):
+        whole = rng.integers(-(1 << 62), 1 << 62, size)
+        for lost in (0.0, 0.05, 0.1, 0.11, 0.12, 0.2, 0.5):
+            new = whole.copy()
+            new[: int(size * lost)] = rng.integers(-(1 << 62), 1 << 62, int(size * lost))
+            sets.append(np.unique(new))
+            rows.append((len(rows), 0, len(sets[-1]), *(int(x) for x in simhash.parity_sketch(sets[-1]))))
+    nodes = spark.createDataFrame(rows, "node long, fp long, m long, " + ", ".join(f"{c} long" for c in simhash.SKETCH_WORDS))
+    got = {tuple(r) for r in simhash.near_pairs(nodes, 3, 2, similarity=0.8).collect()}
+    share = lambda x, y: len(np.intersect1d(x, y)) / max(1, len(np.union1d(x, y))) if len(x) or len(y) else 1.0
+    pairs = {(i, j): share(sets[i], sets[j]) for i in range(len(sets)) for j in range(i + 1, len(sets))}
+    assert {p for p, s in pairs.items() if s >= 0.8} <= got
+    assert not {p for p in got if pairs[p] < 0.5 and len(sets[p[1]]) <= 300}  # sketches of far larger sets are full and exclude nothing
