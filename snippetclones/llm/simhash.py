@@ -10,13 +10,17 @@ segment finds is not taken again.
 
 Work is done on classes of equal fingerprints (or equal texts), so a group of
 exact copies is one node, and distinct fingerprints bound each node's links.
-With ``verify``, links also need a Jaccard similarity of word shingles.  Each
-node then carries the size of its shingle set and a parity sketch of it, which
-bound the similarity of a pair from above inside the join, so that pairs that
-can't reach the threshold never leave it; those left are compared exactly.  A
-first round compares each node with the least node of its buckets, and the full
-probe skips pairs that are already connected - no link between components is
-lost, and a large group of near copies doesn't become all its pairs.
+With ``verify``, links are exactly the pairs whose sets of word shingles have a
+Jaccard similarity of the threshold or more, however far apart their
+fingerprints are.  Fingerprints only give a cheap first round, each node with
+the least node of its buckets; a prefix join on shingles, rarest first, proposes
+the rest without loss.  Shingles that no other text holds are counted and never
+joined; their number, the set's size and a parity sketch bound a pair's
+similarity from above inside the join, so that pairs that can't reach the
+threshold never leave it, and those left are compared exactly.  Each shingle's
+most typical node is tried first, and the full join skips pairs that are already
+connected - no link between components is lost, and a large group of near
+copies doesn't become all its pairs.
 
 Edge cases: null and empty texts have fingerprint zero and link like others;
 rows that repeat a doc_id stay apart; a null doc_id counts as larger than any
@@ -38,6 +42,8 @@ from .components import components
 SEED = 42
 BITS = 64
 BLOCK = 1024  # texts a side of a verification block
+BUCKET = 1 << 22  # shingles a bucket, where their holders are counted
+FLUSH = 1 << 21  # shingles that a task holds before it deals them out
 SKETCH = 512  # bits of a parity sketch, kept as 64-bit words
 SKETCH_WORDS = [f"sk{i}" for i in range(SKETCH // BITS)]
 
@@ -170,6 +176,109 @@ def bucket_leaders(nodes: DataFrame, radius: int, segments: int, similarity: flo
     return x.join(y, (F.col("x.seg") == F.col("y.seg")) & (F.col("x.key") == F.col("y.key")) & near).select(F.col("y.node").alias("a"), F.col("x.node").alias("b")).distinct()
 
 
+def shared_shingles(docs: DataFrame, size: int, total: int, text: str = "text") -> DataFrame:
+    """``(th, item, df)``: shingles that at least two distinct texts hold, for each text (by the hash of its words) that holds them.
+
+    Items are shingle hashes cut to 32 bits and a bucket.  Two of a text that fall together stay two rows and count as
+    shared, so a text's missing rows are shingles that nobody else holds.  ``total``, about the number of shingles, sets the buckets.
+    """
+    buckets = max(32, -(-total // BUCKET))
+    source = docs.select(F.col(text).cast("string").alias("t"))
+
+    def deal(keys, sets):
+        """A row for each bucket: holders, how many shingles each has there, and the shingles."""
+        flat = np.concatenate(sets).view(np.uint64)
+        owner = np.repeat(np.arange(len(keys)), [len(x) for x in sets])
+        part = ((flat >> np.uint64(32)) % np.uint64(buckets)).astype(np.int64)
+        order = np.argsort(part, kind="stable")
+        ends = np.searchsorted(part[order], np.arange(buckets + 1))
+        short, names, out = flat.astype(np.uint32), np.array(keys, dtype="V16"), []
+        for p in range(buckets):
+            at = order[ends[p] : ends[p + 1]]
+            if len(at):
+                who, counts = np.unique(owner[at], return_counts=True)
+                out.append((p, names[who].tobytes(), counts.astype(np.int32).tobytes(), short[at].tobytes()))
+        columns = zip(*out, strict=True)
+        return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, (pa.int32(), pa.binary(), pa.binary(), pa.binary()), strict=True)], names=["p", "keys", "counts", "h"])
+
+    def run(batches):
+        keys, sets, held = [], [], 0
+        for b in batches:
+            for t in b["t"]:
+                tokens = words(t.as_py())
+                if not tokens:
+                    continue
+                keys.append(xxhash.xxh3_128_digest(b" ".join(tokens)))
+                sets.append(np.unique(hashes(shingles(tokens, size)).view(np.int64)))
+                held += len(sets[-1])
+                if held >= FLUSH:
+                    yield deal(keys, sets)
+                    keys, sets, held = [], [], 0
+        if keys:
+            yield deal(keys, sets)
+
+    def count(key: tuple, rows: pa.Table) -> pa.Table:
+        keys = np.frombuffer(b"".join(x.as_py() for x in rows["keys"]), "V16")
+        counts = np.frombuffer(b"".join(x.as_py() for x in rows["counts"]), np.int32)
+        h = np.frombuffer(b"".join(x.as_py() for x in rows["h"]), np.uint32)
+        pairs = keys.view(">u8").reshape(-1, 2)
+        order = np.lexsort((pairs[:, 1], pairs[:, 0]))
+        ranked = pairs[order]
+        fresh = np.ones(len(order), bool)
+        fresh[1:] = (ranked[1:] != ranked[:-1]).any(axis=1)
+        first = np.zeros(len(keys), bool)
+        first[order[fresh]] = True  # equal texts count once
+        h, owner = h[np.repeat(first, counts)], np.repeat(np.flatnonzero(first), counts[first])
+        order = np.argsort(h, kind="stable")
+        h, owner = h[order], owner[order]
+        starts = np.flatnonzero(np.r_[True, h[1:] != h[:-1]])
+        df = np.repeat(runs := np.diff(np.r_[starts, len(h)]), runs)
+        keep = df > 1
+        item = (np.int64(key[0].as_py()) << np.int64(32)) | h[keep].astype(np.int64)
+        names = pa.array([keys[i].tobytes() for i in owner[keep]], pa.binary())
+        return pa.table({"th": names, "item": item, "df": df[keep].astype(np.int64)})
+
+    dealt = source.mapInArrow(run, "p int, keys binary, counts binary, h binary")
+    return dealt.groupBy("p").applyInArrow(count, "th binary, item long, df long")
+
+
+def prefixes(nodes: DataFrame, shared: DataFrame, similarity: float) -> DataFrame:
+    """``(node, m, sk0 .., alone, item, inner)``: the shingles among which every pair of ``similarity`` or more has one in common.
+
+    All texts order shingles alike, rarest first, so the ``alone`` ones that nobody else holds lead and only shorten the prefix.
+    The larger set of a pair needs its first m - ceil(s m) + 1, the other one its first m - ceil(2 s / (1 + s) m) + 1 (``inner``).
+    """
+    held = shared.groupBy("th").agg(F.array_sort(F.collect_list(F.struct("df", "item"))).alias("held"))
+    known = nodes.join(held, "th").withColumn("alone", F.col("m") - F.size("held"))
+    reach = lambda share: (F.col("m") - F.ceil(F.col("m") * F.lit(share) - F.lit(1e-9)) + 1 - F.col("alone")).cast("int")
+    known = known.withColumn("outer", reach(similarity)).withColumn("nearer", reach(2 * similarity / (1 + similarity))).where("outer > 0")
+    first = known.select("node", "m", *SKETCH_WORDS, "alone", "nearer", F.posexplode(F.slice("held", F.lit(1), F.col("outer"))).alias("at", "e"))
+    return first.select("node", "m", *SKETCH_WORDS, "alone", F.col("e.item").alias("item"), (F.col("at") < F.col("nearer")).alias("inner"))
+
+
+def may_meet(similarity: float, x: str, y: str):
+    """``may_reach``, and the shingles that only one text holds leave room as well: they are unshared in every pair."""
+    m = F.col(f"{x}.m") + F.col(f"{y}.m")
+    return (F.col(f"{x}.alone") + F.col(f"{y}.alone") <= m * F.lit((1 - similarity) / (1 + similarity) + 1e-9)) & may_reach(similarity, x, y)
+
+
+def prefix_leaders(prefix: DataFrame, similarity: float) -> DataFrame:
+    """Pairs of each node with the most typical node (fewest shingles of its own) of each of its prefix shingles."""
+    kept = ["node", "m", *SKETCH_WORDS, "alone"]
+    least = prefix.groupBy("item").agg(F.min(F.struct((F.col("alone") / F.col("m")).alias("share"), *kept)).alias("least"), F.count("*").alias("n")).where("n > 1").select("item", "least.*")
+    x, y = prefix.alias("x"), least.alias("y")
+    pair = x.join(y, (F.col("x.item") == F.col("y.item")) & (F.col("x.node") != F.col("y.node")) & may_meet(similarity, "x", "y"))
+    return pair.select(F.least("x.node", "y.node").alias("a"), F.greatest("x.node", "y.node").alias("b")).distinct()
+
+
+def prefix_pairs(prefix: DataFrame, similarity: float) -> DataFrame:
+    """Pairs ``(a, b)`` of ``prefix(.., root)`` across roots that share a prefix shingle and may have ``similarity``: none that has it is missing."""
+    x, y = prefix.alias("x"), prefix.where("inner").alias("y")
+    larger = (F.col("x.m") > F.col("y.m")) | ((F.col("x.m") == F.col("y.m")) & (F.col("x.node") > F.col("y.node")))
+    pair = x.join(y, (F.col("x.item") == F.col("y.item")) & larger & (F.col("x.root") != F.col("y.root")) & may_meet(similarity, "x", "y"))
+    return pair.select(F.least("x.node", "y.node").alias("a"), F.greatest("x.node", "y.node").alias("b")).distinct()
+
+
 def verified(pairs: DataFrame, docs: DataFrame, rid: str, size: int, similarity: float, text: str = "text") -> DataFrame:
     """Pairs of row numbers whose texts' ``size``-word shingle sets have a Jaccard similarity of ``similarity`` or more.
 
@@ -219,10 +328,13 @@ def near_duplicates(docs: DataFrame, radius: int = 3, segments: int = 2, feature
     nodes = classes.select(F.col("first.rid").alias("node"), *kind, "first", *(["m", *sketch] if verify else []))
     if verify:
         nodes = cut(nodes)
-        early = cut(verified(cut(bucket_leaders(nodes, radius, segments, verify[1])), rows, rid, *verify, text))
+        total = nodes.agg(F.coalesce(F.sum("m"), F.lit(0))).first()[0]
+        prefix = cut(prefixes(nodes, shared_shingles(rows, verify[0], total, text), verify[1]))
+        early = bucket_leaders(nodes, radius, segments, verify[1]).union(prefix_leaders(prefix, verify[1])).distinct()
+        early = cut(verified(cut(early), rows, rid, *verify, text))
         roots = cut(components(early))
-        placed = nodes.join(roots, "node", "left").select("node", "fp", F.coalesce("root", "node").alias("root"), "m", *SKETCH_WORDS)
-        edges = early.union(verified(cut(near_pairs(cut(placed), radius, segments, apart=True, similarity=verify[1])), rows, rid, *verify, text))
+        placed = prefix.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
+        edges = early.union(verified(cut(prefix_pairs(cut(placed), verify[1])), rows, rid, *verify, text))
     else:
         edges = near_pairs(nodes.select("node", "fp"), radius, segments)
     member = cut(components(edges))

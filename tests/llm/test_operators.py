@@ -186,6 +186,26 @@ def test_verified_near_duplicates(spark):
     assert simhash.drop_near_duplicates(d.where("false"), radius=7, segments=4, features="distinct", verify=(5, 0.8)).count() == 0
 
 
+def test_verified_near_duplicates_exact(spark):
+    """Appended and short copies included, links are those of an exact join, also where fingerprints are far apart."""
+    rng = np.random.default_rng(5)
+    prose = lambda n: [f"v{int(x)}" for x in rng.zipf(1.3, n) % 3000]
+    base = [prose(int(n)) for n in rng.integers(8, 400, 60)]
+    texts = [*base, *[w + prose(max(1, round(len(w) * share))) for share in (0.05, 0.1, 0.15, 0.2) for w in base], [], ["a"], ["a", "a"], *base[:3]]
+    sets = [set(zip(*(w[i:] for i in range(5)), strict=False)) if len(w) >= 5 else {tuple(w)} for w in texts]
+    root, far = list(range(len(texts))), 0
+    prints = [simhash.fingerprint(simhash.hashes([x.encode() for x in dict.fromkeys(w)])) & (1 << 64) - 1 for w in texts]
+    for i, x in enumerate(sets):
+        for j in range(i):
+            if 10 * len(x & sets[j]) >= 8 * len(x | sets[j]):
+                root = [min(root[i], root[j]) if r in (root[i], root[j]) else r for r in root]
+                far += (prints[i] ^ prints[j]).bit_count() > 7
+    assert far > 20
+    d = spark.createDataFrame([(i, " ".join(w)) for i, w in enumerate(texts)], "doc_id long, text string")
+    got = simhash.near_duplicates(d, radius=7, segments=4, features="distinct", verify=(5, 0.8))[0]
+    assert {r.doc_id: r.component_id for r in got.collect()} == dict(enumerate(root))
+
+
 def test_mixing_targets_and_fit(spark):
     sizes = spark.createDataFrame([("a", 10), ("b", 100), ("c", 1000), (None, 0)], "source string, source_size long")
     got = {r.source: r.target for r in mixing.targets(sizes).collect()}
