@@ -36,8 +36,8 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..operators.components import components
 from .common import cut, fresh_name
-from .components import components
 
 SEED = 42
 BITS = 64

@@ -2,7 +2,8 @@
 
 Each step sends every node's neighbours to the smallest one it knows; in
 O(log n) rounds the edges become stars around the smallest node.  Nothing is
-collected but two sums a round; lineage is cut by reliable checkpoints.
+collected but two sums a round; lineage is cut by reliable checkpoints.  Edges
+that do not settle within ``ROUNDS`` raise an error.
 """
 
 from __future__ import annotations
@@ -10,11 +11,17 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut
+from ..session import shared_dir
 
 ROUNDS = 60
 
 
+def cut(df: DataFrame) -> DataFrame:
+    """Cut the lineage: an eager reliable checkpoint in the shared folder."""
+    shared_dir(df.sparkSession)
+    return df.checkpoint(eager=True)
+
+
 def _least(pairs: DataFrame) -> DataFrame:
     """For each ``u`` the least of itself and its neighbours, beside every neighbour (aggregate, then join: hot nodes can be split)."""
     least = pairs.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"))
@@ -42,5 +49,7 @@ def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
         if state == seen:
             break
         seen = state
+    else:
+        raise RuntimeError(f"components did not settle in {ROUNDS} rounds")
     stars = now.select(F.col("u").alias("node"), F.col("v").alias("root"))
     return stars.union(stars.select(F.col("root").alias("node"), "root").distinct())

@@ -12,6 +12,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import normalize as N
+from . import components as C
 
 
 def least_overlap(n, tenths: int):
@@ -119,16 +120,6 @@ def open_triples(found: DataFrame) -> DataFrame:
     return wedge.join(both.select(F.col("x").alias("l"), F.col("y").alias("r")), ["l", "r"], "left_anti").agg(F.count("*").alias("open_triples"))
 
 
-def components(found: DataFrame, rounds: int = 30) -> DataFrame:
-    """``(bag_id, root)``: least reachable bag, by label propagation with reliable checkpoints; an upper bound, not a clone group."""
-    both = found.select(F.col("a").alias("x"), F.col("b").alias("y")).union(found.select(F.col("b").alias("x"), F.col("a").alias("y"))).checkpoint()
-    label = both.select(F.col("x").alias("bag_id"), F.col("x").alias("root")).distinct()
-    before = None
-    for _ in range(rounds):
-        near = both.join(label, F.col("y") == F.col("bag_id")).groupBy("x").agg(F.min("root").alias("near"))
-        label = label.join(near, F.col("bag_id") == F.col("x")).select("bag_id", F.least("root", "near").alias("root")).checkpoint()
-        state = label.agg(F.sum(F.crc32("root"))).first()[0]
-        if state == before:
-            break
-        before = state
-    return label
+def components(found: DataFrame) -> DataFrame:
+    """``(bag_id, root)``: least reachable bag, by star contraction until nothing changes; an upper bound, not a clone group."""
+    return C.components(found).select(F.col("node").alias("bag_id"), "root")

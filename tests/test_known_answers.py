@@ -64,6 +64,13 @@ def test_white_space_and_comments(spark):
     assert nearmiss.distinct_bags(nearmiss.tokenised(c)).count() == 1
 
 
+def test_components_of_a_long_chain(spark):
+    names = [f"b{i:03d}" for i in range(101)]
+    found = spark.createDataFrame([*zip(names, names[1:], strict=False), ("x", "y")], "a string, b string")
+    assert {r.bag_id: r.root for r in nearmiss.components(found).collect()} == dict.fromkeys(names, "b000") | {"x": "x", "y": "x"}
+    assert nearmiss.components(found.where("false")).count() == 0
+
+
 def test_ranks_and_signed_rank(spark):
     h = stats.histogram(spark.createDataFrame([(10,), (20,), (20,), (30,)], "x int"), "x")
     for distributed in (False, True):
