@@ -90,21 +90,27 @@ def stream_join(spark: SparkSession, d: str) -> DataFrame:
 
 
 def first_seen(spark: SparkSession, d: str) -> DataFrame:
-    """Custom state by fingerprint: first user seen and the running size, forgotten after a day without copies."""
-
-    def update(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        first, size = state.get if state.exists else (None, 0)
-        for b in batches:
-            low = b.sort_values(["ts", "event_id"])["user_id"].iloc[0]
-            first, size = (int(low) if first is None else first), size + len(b)
-        state.update((first, size))
-        yield pd.DataFrame({"h": [key[0]], "first_user": [first], "size": [size]})
+    """Custom state by fingerprint: first user by time and the running size; state is bounded by the fingerprints and never forgotten.
 
+    A group's rows come in several pieces in no order, so the least (ts, event_id) is kept over all of them and in the state.
+    """
     e = source(spark, d).select("h", "event_id", "user_id", F.unix_micros("at").alias("ts"))
-    out = e.groupBy("h").applyInPandasWithState(update, "h string, first_user long, size long", "first_user long, size long", "update", GroupStateTimeout.NoTimeout)
+    out = e.groupBy("h").applyInPandasWithState(seen_first, "h string, first_user long, size long", "ts long, event_id long, first_user long, size long", "update", GroupStateTimeout.NoTimeout)
     return drain(out, "update")
 
 
+def seen_first(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+    """A row ``(h, first_user, size)`` for all pieces of a key; state ``(ts, event_id, first_user, size)``."""
+    ts, event, first, size = state.get if state.exists else (None, None, None, 0)
+    for b in batches:
+        low = b.sort_values(["ts", "event_id"]).iloc[0]
+        if ts is None or (low["ts"], low["event_id"]) < (ts, event):
+            ts, event, first = int(low["ts"]), int(low["event_id"]), int(low["user_id"])
+        size += len(b)
+    state.update((ts, event, first, size))
+    yield pd.DataFrame({"h": [key[0]], "first_user": [first], "size": [size]})
+
+
 def upsert(spark: SparkSession, d: str) -> DataFrame:
     """Group counts by ``foreachBatch``: each batch owns a folder by its id, so a retried batch replaces itself."""
     out = folder(spark, "upsert")

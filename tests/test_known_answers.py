@@ -1,6 +1,7 @@
 """Hand-sized frames with known answers, distribution tails against tabulated values, invariants and plan assertions."""
 
 import math
+from datetime import datetime, timedelta
 
 import pytest
 from pyspark.sql import functions as F
@@ -9,6 +10,7 @@ from snippetclones.functions import normalize as N
 from snippetclones.functions import tails
 from snippetclones.operators import cmw, connections, corpus, frequency, language, nearmiss, stats
 from snippetclones.plans import explain
+from snippetclones.streaming import events
 
 CELL = "nb_id long, repo string, lang string, pos int, code string, loc int"
 
@@ -71,6 +73,19 @@ def test_components_of_a_long_chain(spark):
     assert nearmiss.components(found.where("false")).count() == 0
 
 
+def test_first_user_over_several_pieces(spark, tmp_path):
+    """A group that comes in pieces, later rows first: the first user is the one of the least instant and id."""
+    rows = [(i, datetime(2024, 1, 1) + timedelta(minutes=(200 - i) // 2), 1000 + i, "click", 0.0, "p") for i in range(200)]
+    e = spark.createDataFrame(rows, "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string")
+    e.coalesce(1).write.parquet(f"{tmp_path}/events.parquet")
+    key, before = "spark.sql.execution.arrow.maxRecordsPerBatch", spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")
+    spark.conf.set(key, "10")
+    try:
+        assert [(r.first_user, r.size) for r in events.first_seen(spark, str(tmp_path)).collect()] == [(1199, 200)]
+    finally:
+        spark.conf.set(key, before)
+
+
 def test_ranks_and_signed_rank(spark):
     h = stats.histogram(spark.createDataFrame([(10,), (20,), (20,), (30,)], "x int"), "x")
     for distributed in (False, True):
