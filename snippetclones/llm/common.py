@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
+import gc
 import re
 import uuid
 
@@ -34,8 +37,28 @@ def written(df: DataFrame, label: str) -> DataFrame:
     return spark.read.parquet(path)
 
 
-def text_or_empty(col: str = "text"):
-    return F.coalesce(F.col(col).cast("string"), F.lit(""))
+def release(df: DataFrame) -> None:
+    """Delete the folder of a ``written`` frame that nothing reads any more."""
+    spark = df.sparkSession
+    for file in df.inputFiles()[:1]:
+        folder = spark._jvm.org.apache.hadoop.fs.Path(file).getParent()
+        folder.getFileSystem(spark._jsc.hadoopConfiguration()).delete(folder, True)
+
+
+def named(column: str):
+    """A column by its whole name, dots and backticks included."""
+    return F.col("`" + column.replace("`", "``") + "`")
+
+
+def in_order(df: DataFrame) -> DataFrame:
+    """Columns named by their place: ``mapInArrow`` looks columns up by name, which fails for a dot."""
+    return df.toDF(*(f"c{i}" for i in range(len(df.columns))))
+
+
+def numbered(docs: DataFrame) -> tuple[DataFrame, str]:
+    """``docs`` with a row number, written once, and the number's column: later reads see the same numbers whatever the input gives when evaluated again."""
+    rid = fresh_name(docs, "rid")
+    return written(docs.withColumn(rid, F.monotonically_increasing_id()), "numbered"), rid
 
 
 def fresh_name(df: DataFrame, stem: str) -> str:
@@ -46,6 +69,24 @@ def fresh_name(df: DataFrame, stem: str) -> str:
     return name
 
 
+_HELD: dict = {}
+
+
+def held(kind: str, key, make):
+    """The one large object that a Python worker keeps between tasks.
+
+    Workers are reused by whatever runs next; asking for another object lets the old one go and
+    returns its memory, so that a chain of operators needs what its largest needs and not their sum.
+    """
+    if _HELD.get("name") != (kind, key):
+        _HELD.clear()
+        gc.collect()
+        with contextlib.suppress(OSError, AttributeError):  # only glibc has it
+            ctypes.CDLL(None).malloc_trim(0)
+        _HELD.update(name=(kind, key), value=make())
+    return _HELD["value"]
+
+
 class TwoGenerations:
     """A bounded memo: lookups fall back to the previous generation, so frequent keys survive when a generation fills up."""
 

@@ -17,14 +17,15 @@ features are made on the executors and only sparse rows reach the driver.
 
 Edge cases: null and empty texts have no features and get the thresholds' own
 probabilities; rows without a usable grade aren't fitted; with fewer than two
-grades every document has tail probability 1 (nothing is rejected).
+grades, or where no feature depends on the grade, there is no model: every
+document has tail probability 1 and nothing is rejected; an empty table gives no
+rows; repeated rows are rated alike; input columns named like an output are replaced.
 """
 
 from __future__ import annotations
 
 import re
 from dataclasses import dataclass
-from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -33,7 +34,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-BITS, ROWS, STEPS, RATE, RIDGE, WORDS_MEMO, MIN_DOCS, MIN_GAIN = 26, 6000, 300, 0.1, 1e-6, 80_000, 8, 60.0
+from .common import TwoGenerations, held, in_order, named
+
+BITS, ROWS, STEPS, RATE, RIDGE, WORDS_MEMO, MIN_DOCS, MIN_GAIN = 26, 6000, 300, 0.1, 1e-6, 60_000, 8, 60.0
 DIMS = 1 << BITS
 REJECT_BELOW = 0.5
 SHAPES = re.compile(r"[^\W\d_]+")
@@ -45,7 +48,6 @@ def _place(name: str) -> int:
     return xxhash.xxh64_intdigest(name, 9) & (DIMS - 1)
 
 
-@lru_cache(maxsize=WORDS_MEMO)
 def _word(word: str) -> tuple[int, int]:
     """Places of a word's core and of its shape."""
     core = word.strip(EDGES).lower()
@@ -56,12 +58,25 @@ def _word(word: str) -> tuple[int, int]:
 REPEATS = [_place(f"repeats{i}") for i in range(11)]
 
 
-def features(text: str | None) -> tuple[np.ndarray, np.ndarray]:
+def words_memo() -> TwoGenerations:
+    """The places of words that this Python worker has met lately."""
+    return held("words", WORDS_MEMO, lambda: TwoGenerations(WORDS_MEMO))
+
+
+def features(text: str | None, memo: TwoGenerations | None = None) -> tuple[np.ndarray, np.ndarray]:
     """Places and values of one whole text."""
     words = (text or "").split()
     if not words:
         return np.zeros(0, np.int64), np.zeros(0)
-    pairs = [_word(w) if len(w) <= 64 else _word.__wrapped__(w) for w in words]
+    memo = TwoGenerations(WORDS_MEMO) if memo is None else memo
+    pairs = []
+    for w in words:
+        pair = memo.young.get(w) or memo.get(w)
+        if pair is None:
+            pair = _word(w)
+            if len(w) <= 64:
+                memo.put(w, pair)
+        pairs.append(pair)
     cores, shapes = np.array(pairs, np.int64).T
     places, inverse = np.unique(shapes, return_counts=True)
     core = np.unique(cores)
@@ -80,8 +95,8 @@ class OrdinalModel:
     thresholds: np.ndarray
     grades: list[int]
 
-    def score(self, text: str | None) -> float:
-        return self.of(*features(text))
+    def score(self, text: str | None, memo: TwoGenerations | None = None) -> float:
+        return self.of(*features(text, memo))
 
     def of(self, at: np.ndarray, value: np.ndarray) -> float:
         i = np.minimum(np.searchsorted(self.places, at), len(self.places) - 1)
@@ -156,11 +171,12 @@ def graded(labels: DataFrame) -> DataFrame:
 def fit(docs: DataFrame, grades: DataFrame, rows: int = ROWS, doc_id: str = "doc_id", text: str = "text") -> OrdinalModel | None:
     """Fit on at most ``rows`` graded documents, those with the least hashes of their id."""
     picked = grades.orderBy(F.xxhash64(F.lit(17), "doc_id"), "doc_id").limit(rows)
-    source = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).cast("string").alias("t")).join(F.broadcast(picked), "doc_id")  # at most `rows` ids
+    source = docs.select(named(doc_id).cast("long").alias("doc_id"), named(text).cast("string").alias("t")).join(F.broadcast(picked), "doc_id")  # at most `rows` ids
 
     def run(batches):
+        memo = words_memo()
         for b in batches:
-            got = [features(t.as_py()) for t in b["t"]]
+            got = [features(t.as_py(), memo) for t in b["t"]]
             yield pa.RecordBatch.from_arrays([pa.array([g[0].astype(np.int32) for g in got], pa.list_(pa.int32())), pa.array([g[1].astype(np.float32) for g in got], pa.list_(pa.float32())), b["grade"].cast(pa.int32()), b["doc_id"]], names=["at", "value", "grade", "doc_id"])
 
     sparse = source.select("t", "grade", "doc_id").mapInArrow(run, "at array<int>, value array<float>, grade int, doc_id long").orderBy("doc_id").limit(rows).toArrow()
@@ -176,15 +192,15 @@ def rate(docs: DataFrame, model: OrdinalModel | None, accept: int = 2, reject_be
     at = next(i for i, c in enumerate(kept) if c.lower() == text.lower())
 
     def run(batches):
-        own = shared.value
+        own, memo = shared.value, words_memo()
         for b in batches:
             if own is None:
                 expected, tail = np.full(b.num_rows, float(accept)), np.ones(b.num_rows)
             else:
-                score = np.array([own.score(t.as_py()) for t in b.column(at)])
+                score = np.array([own.score(t.as_py(), memo) for t in b.column(at)])
                 expected = own.expected(score)
                 column = next((i for i, g in enumerate(own.grades[1:]) if g >= accept), None)
                 tail = own.tails(score)[:, column] if column is not None else np.zeros(b.num_rows)
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(expected), pa.array(tail), pa.array(tail >= reject_below)], names=[*kept, *new])
 
-    return docs.select(*[F.col(f"`{c}`") for c in kept]).mapInArrow(run, schema)
+    return in_order(docs.select(*map(named, kept))).mapInArrow(run, schema)
