@@ -8,8 +8,9 @@ following the stored tokens back from the end gives the ids.  One pass, linear
 in the text, and no merge queue.
 
 Edge cases: null text is the empty text (no ids, empty decoding); empty texts
-likewise; repeated rows are encoded independently; other columns are kept
-except that an input column named like an output column is replaced.
+likewise; an empty table gives no rows; repeated rows are encoded independently;
+other columns are kept except that an input column named like an output column
+is replaced; time and memory are linear in a text's length.
 """
 
 from __future__ import annotations
@@ -17,7 +18,6 @@ from __future__ import annotations
 import re
 import struct
 import unicodedata
-from functools import lru_cache
 
 import ahocorasick
 import pyarrow as pa
@@ -27,12 +27,15 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from . import bpe_model
-from .common import TwoGenerations
+from .char_classes import CharClasses, library_classes
+from .common import TwoGenerations, fresh_name, held, in_order, named
 
 #: The word pattern that the tokenizer file states.
-WORDS = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+")
+WORDS = r"'s|'t|'re|'ve|'m|'ll|'d|[{L}]+|[{N}]|[^{S}{L}{N}]+"
 ASCII_WORDS = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-zA-Z]+|[0-9]|[^\sa-zA-Z0-9\x1c-\x1f]+|[\x1c-\x1f]+")
 SPACES = regex.compile(r"\p{White_Space}+")
+#: Scripts whose composed and lower-case forms no Unicode version since 4.1 changes; other texts are normalised by the library.
+SETTLED = re.compile("[\x00-\u036f\u0374-\u0377\u037a-\u037f\u0384-\u03ff\u0400-\u0527\u1e00-\u1eff\u2000-\u2064\u20a0-\u20b5\u2100-\u214e\u2190-\u23e7\u2500-\u26ff\u3000-\u30ff\u4e00-\u9fbb\uac00-\ud7a3]*")
 MEMO_WORDS = 130_000
 LONGEST_MEMO = 64
 
@@ -40,8 +43,9 @@ LONGEST_MEMO = 64
 class BpeCodec:
     """``encode`` text to ids and ``decode`` ids to text, as the public tokenizer file defines."""
 
-    def __init__(self, path: str):
-        self.model = bpe_model.load(path)
+    def __init__(self, path: str, classes: CharClasses | None = None):
+        self.model, self.classes = bpe_model.load(path), classes or library_classes()
+        self.pattern, self.normaliser = {}, None
         self.matcher = ahocorasick.Automaton()
         for token, i in self.model.id_of.items():
             self.matcher.add_word(token, (len(token), i))
@@ -69,8 +73,22 @@ class BpeCodec:
         """Normalised words of a text without special marks (composed form, lower case per character)."""
         if text.isascii() and not _SEPARATORS.search(text):
             return ASCII_WORDS.findall(text.lower())
-        text = SPACES.sub(" ", unicodedata.normalize("NFC", text))
-        return WORDS.findall(text.replace("Σ", "σ").lower())
+        if SETTLED.fullmatch(text):
+            text = SPACES.sub(" ", unicodedata.normalize("NFC", text)).replace("Σ", "σ").lower()
+        else:
+            text = self.normalised(text)
+        exact = self.classes.needs_exact(text)
+        if exact not in self.pattern:
+            self.pattern[exact] = self.classes.compile(WORDS, exact)
+        return self.pattern[exact].findall(text)
+
+    def normalised(self, text: str) -> str:
+        """The file's normaliser by the library, whose Unicode version may differ from this Python's."""
+        if self.normaliser is None:
+            from tokenizers import Regex, normalizers
+
+            self.normaliser = normalizers.Sequence([normalizers.NFC(), normalizers.Replace(Regex(r"\s+"), " "), normalizers.Lowercase()])
+        return self.normaliser.normalize_str(text)
 
     def _word(self, word: str) -> tuple[bytes, str]:
         ids = self.word_ids(word)
@@ -108,9 +126,8 @@ class BpeCodec:
 _SEPARATORS = re.compile(r"[\x1c-\x1f]")
 
 
-@lru_cache(maxsize=2)
-def codec(path: str) -> BpeCodec:
-    return BpeCodec(path)
+def codec(path: str, classes: CharClasses) -> BpeCodec:
+    return held("codec", path, lambda: BpeCodec(path, classes))
 
 
 def encode_documents(docs: DataFrame, path: str, text: str = "text", ids: str = "ids_le", decoded: str = "decoded") -> DataFrame:
@@ -119,11 +136,12 @@ def encode_documents(docs: DataFrame, path: str, text: str = "text", ids: str =
     A narrow map: no shuffle, memory bounded by an Arrow batch and a word memo of fixed size.
     """
     kept = [c for c in docs.columns if c.lower() not in {text.lower(), ids, decoded}]
-    source = docs.select(*kept, F.col(text).cast("string").alias("__text"))
+    source = docs.select(*map(named, kept), named(text).cast("string").alias(fresh_name(docs, "text_")))
+    classes = library_classes()  # ranges of code points
     schema = T.StructType([*(docs.schema[c] for c in kept), T.StructField(ids, T.BinaryType()), T.StructField(decoded, T.StringType())])
 
     def run(batches):
-        own = codec(path)
+        own = codec(path, classes)
         for batch in batches:
             for part in (batch.slice(i, 512) for i in range(0, batch.num_rows, 512)):
                 texts = part.column(part.num_columns - 1)
@@ -131,7 +149,7 @@ def encode_documents(docs: DataFrame, path: str, text: str = "text", ids: str =
                 cols = [part.column(i) for i in range(part.num_columns - 1)]
                 yield pa.RecordBatch.from_arrays([*cols, pa.array([p[0] for p in packed], pa.binary()), pa.array([p[1] for p in packed], pa.string())], names=[*kept, ids, decoded])
 
-    return source.mapInArrow(run, schema)
+    return in_order(source).mapInArrow(run, schema)
 
 
 def ids_array(ids: str = "ids_le"):

@@ -93,6 +93,6 @@ class MergeModel:
         return known
 
 
-@lru_cache(maxsize=4)
+@lru_cache(maxsize=1)
 def load(path: str) -> MergeModel:
     return MergeModel(path)
