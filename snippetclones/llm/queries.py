@@ -31,7 +31,7 @@ def op2_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op3_exact_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
-    rows = vectors.usable(table(spark, sf_dir, "embeddings")).select("vec_id", exact_topk.quantise(F.col("v")).alias("v"))
+    rows = vectors.usable(table(spark, sf_dir, "embeddings"))
     return exact_topk.exact_topk(rows, vectors.query_rows(rows, 50), k=5)
 
 
