@@ -19,7 +19,9 @@ as each line has a word, hence floor(log2(min_words)) doubling rounds.
 
 Only DataFrame functions are used.  Edge cases: null text stays null; empty
 texts and blank lines stay; rows that repeat a doc_id are separate documents in
-file order; line identity is the MD5 of the whole line; other columns are kept.
+the order of their numbers, which are written once with the rows; an empty table
+gives no rows; line identity is the MD5 of the whole line; other columns are kept,
+except that ones named like an output column are replaced.
 """
 
 from __future__ import annotations
@@ -29,7 +31,7 @@ from functools import reduce
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import cut, fresh_name
+from .common import cut, fresh_name, named, numbered
 
 MIN_WORDS = 4
 HAS_WORD = r"[^\x20\x09-\x0D]"
@@ -37,9 +39,9 @@ HAS_WORD = r"[^\x20\x09-\x0D]"
 
 def line_rows(rows: DataFrame, rid: str, doc_id: str, text: str) -> DataFrame:
     """``(rid, doc, i, words, h)`` of every non-blank line; i counts the non-blank lines of a document."""
-    lines = F.filter(F.split(F.col(text).cast("string"), "\n"), lambda x: x.rlike(HAS_WORD))
+    lines = F.filter(F.split(named(text).cast("string"), "\n"), lambda x: x.rlike(HAS_WORD))
     each = F.transform(lines, lambda x: F.struct(F.unhex(F.md5(x)).alias("h"), F.regexp_count(x, F.lit(r"[^\x20\x09-\x0D]+")).alias("words")))
-    return rows.select(F.col(rid).alias("rid"), F.col(doc_id).cast("long").alias("doc"), F.posexplode(each).alias("i", "e")).select("rid", "doc", "i", "e.words", "e.h")
+    return rows.select(F.col(rid).alias("rid"), named(doc_id).cast("long").alias("doc"), F.posexplode(each).alias("i", "e")).select("rid", "doc", "i", "e.words", "e.h")
 
 
 def ranked(keys: DataFrame, by: list[str], name: str) -> DataFrame:
@@ -101,20 +103,20 @@ def repeated_lines(lines: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
 
 def dedup_lines(docs: DataFrame, min_words: int = MIN_WORDS, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """``docs`` with the later copies of repeated line runs deleted from the text, plus ``n_lines`` and ``n_removed``."""
-    rid = fresh_name(docs, "rid")
-    rows = docs.withColumn(rid, F.monotonically_increasing_id())
-    gone = repeated_lines(cut(line_rows(rows, rid, doc_id, text)), min_words)
-    gone = gone.groupBy("rid").agg(F.array_distinct(F.flatten(F.collect_list("gone"))).alias("__gone")).withColumnRenamed("rid", rid)
+    rows, rid = numbered(docs)
+    own = next(c for c in docs.columns if c.lower() == text.lower())
+    gone = repeated_lines(cut(line_rows(rows, rid, doc_id, own)), min_words)
+    g, ls, full = (fresh_name(rows, x) for x in ("gone_", "lines_", "full_"))
+    gone = gone.groupBy("rid").agg(F.array_distinct(F.flatten(F.collect_list("gone"))).alias(g)).withColumnRenamed("rid", rid)
     kept = [c for c in docs.columns if c.lower() not in {"n_lines", "n_removed"}]
-    lines = F.split(F.col(text).cast("string"), "\n")
-    marked = rows.join(gone, rid, "left").withColumn("__lines", lines)
-    full = F.filter(F.transform(F.col("__lines"), lambda x, p: F.when(x.rlike(HAS_WORD), p)), lambda p: p.isNotNull())
-    drop = F.transform("__gone", lambda i: F.get(F.col("__full"), i))
-    order = F.when(F.size("__lines") > 0, F.sequence(F.lit(0), F.size("__lines") - 1))
-    left = F.array_join(F.transform(F.array_except(order, drop), lambda p: F.get(F.col("__lines"), p)), "\n")
-    text_out = F.when(F.col("__gone").isNull(), F.col(text).cast("string")).otherwise(left)
-    marked = marked.withColumn("__full", F.when(F.col("__gone").isNotNull(), full))
-    return marked.select(*[text_out.alias(c) if c == text else F.col(f"`{c}`") for c in kept], F.coalesce(F.size("__lines"), F.lit(0)).cast("long").alias("n_lines"), F.coalesce(F.size("__gone"), F.lit(0)).cast("long").alias("n_removed"))
+    marked = rows.select(rid, *[named(c) for c in kept], F.split(named(own).cast("string"), "\n").alias(ls)).join(gone, rid, "left")
+    places = F.filter(F.transform(F.col(ls), lambda x, p: F.when(x.rlike(HAS_WORD), p)), lambda p: p.isNotNull())
+    marked = marked.withColumn(full, F.when(F.col(g).isNotNull(), places))
+    drop = F.transform(g, lambda i: F.get(F.col(full), i))
+    order = F.when(F.size(ls) > 0, F.sequence(F.lit(0), F.size(ls) - 1))
+    left = F.array_join(F.transform(F.array_except(order, drop), lambda p: F.get(F.col(ls), p)), "\n")
+    text_out = F.when(F.col(g).isNull(), named(own).cast("string")).otherwise(left)
+    return marked.select(*[text_out.alias(c) if c == own else named(c) for c in kept], F.coalesce(F.size(ls), F.lit(0)).cast("long").alias("n_lines"), F.coalesce(F.size(g), F.lit(0)).cast("long").alias("n_removed"))
 
 
 #: DuckDB SQL for the whole result: runs are compared as lists of lines.
