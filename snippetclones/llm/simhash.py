@@ -24,8 +24,8 @@ copies doesn't become all its pairs.
 
 Edge cases: null and empty texts have fingerprint zero and link like others;
 rows that repeat a doc_id stay apart; a null doc_id counts as larger than any
-other; the input must be re-readable with equal row order (files), since rows
-are numbered by position.
+other; of equal doc_ids the first row heads its class; an empty table gives no
+rows; rows are numbered once, so the input may change its order when evaluated again.
 """
 
 from __future__ import annotations
@@ -37,11 +37,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..operators.components import components
-from .common import cut, fresh_name
+from .common import cut, fresh_name, named, numbered
 
 SEED = 42
 BITS = 64
-BLOCK = 1024  # texts a side of a verification block
+BLOCK, BLOCK_SHINGLES = 1024, 1 << 19  # texts and shingles a side of a verification block, about
 BUCKET = 1 << 22  # shingles a bucket, where their holders are counted
 FLUSH = 1 << 21  # shingles that a task holds before it deals them out
 SKETCH = 512  # bits of a parity sketch, kept as 64-bit words
@@ -84,18 +84,12 @@ def parity_sketch(distinct: np.ndarray) -> np.ndarray:
     return np.packbits(odd).view(">i8").astype(np.int64)
 
 
-def numbered(docs: DataFrame) -> tuple[DataFrame, str]:
-    """``docs`` with a row number by file position, and its column name."""
-    rid = fresh_name(docs, "rid")
-    return docs.withColumn(rid, F.monotonically_increasing_id()), rid
-
-
 def signatures(docs: DataFrame, rid: str, features: str, size: int, doc_id: str = "doc_id", text: str = "text", sketch: int | None = None) -> DataFrame:
     """``(rid, doc_id, fp, th, m, sk)``: fingerprint of the repeated ``shingles`` or of the ``distinct`` words, and a hash of the word sequence.
 
     With ``sketch``, m and sk are the size and the parity sketch of the set of shingles of so many words, else null.
     """
-    source = docs.select(F.col(rid).alias("rid"), F.col(doc_id).cast("long").alias("doc_id"), F.col(text).cast("string").alias("t"))
+    source = docs.select(F.col(rid).alias("rid"), named(doc_id).cast("long").alias("doc_id"), named(text).cast("string").alias("t"))
 
     def run(batches):
         for b in batches:
@@ -183,7 +177,7 @@ def shared_shingles(docs: DataFrame, size: int, total: int, text: str = "text")
     shared, so a text's missing rows are shingles that nobody else holds.  ``total``, about the number of shingles, sets the buckets.
     """
     buckets = max(32, -(-total // BUCKET))
-    source = docs.select(F.col(text).cast("string").alias("t"))
+    source = docs.select(named(text).cast("string").alias("t"))
 
     def deal(keys, sets):
         """A row for each bucket: holders, how many shingles each has there, and the shingles."""
@@ -285,7 +279,7 @@ def verified(pairs: DataFrame, docs: DataFrame, rid: str, size: int, similarity:
     Pairs are dealt into blocks by both ends, so a text's set travels once a block and not once a pair.
     """
     wanted = pairs.select(F.col("a").alias(rid)).union(pairs.select(F.col("b").alias(rid))).distinct()
-    source = docs.join(wanted, rid, "left_semi").select(F.col(rid).alias("rid"), F.col(text).cast("string").alias("t"))
+    source = docs.join(wanted, rid, "left_semi").select(F.col(rid).alias("rid"), named(text).cast("string").alias("t"))
 
     def run(batches):
         kind = pa.list_(pa.int64())
@@ -294,7 +288,8 @@ def verified(pairs: DataFrame, docs: DataFrame, rid: str, size: int, similarity:
             yield pa.RecordBatch.from_arrays([b["rid"], pa.array(sets, kind)], names=["rid", "sh"])
 
     sets = cut(source.mapInArrow(run, "rid long, sh array<long>"))
-    blocks = F.lit(max(1, -(-sets.count() // BLOCK)))
+    held, total = sets.agg(F.count("*"), F.coalesce(F.sum(F.size("sh")), F.lit(0))).first()
+    blocks = F.lit(max(1, -(-held // BLOCK), -(-total // BLOCK_SHINGLES)))
     of = lambda c: F.pmod(F.xxhash64(c), blocks).cast("int")
     keyed = pairs.select(of("a").alias("ba"), of("b").alias("bb"), "a", "b")
     members = keyed.select(F.col("ba").alias("ka"), F.col("bb").alias("kb"), F.explode(F.array("a", "b")).alias("rid")).distinct().join(sets, "rid")
@@ -319,7 +314,11 @@ def verified(pairs: DataFrame, docs: DataFrame, rid: str, size: int, similarity:
 
 def near_duplicates(docs: DataFrame, radius: int = 3, segments: int = 2, features: str = "shingles", size: int = 3, verify: tuple[int, float] | None = None, doc_id: str = "doc_id", text: str = "text") -> tuple[DataFrame, DataFrame, str]:
     """Class membership ``(rid, doc_id, fp, component_id, keep)`` - one ``keep`` row a class - with the numbered input and its number column."""
-    rows, rid = numbered(docs)
+    if verify:
+        rows, rid = numbered(docs)  # texts are read again by number
+    else:
+        rid = fresh_name(docs, "rid")
+        rows = docs.withColumn(rid, F.monotonically_increasing_id())  # evaluated once
     base = cut(signatures(rows, rid, features, size, doc_id, text, verify[0] if verify else None))
     kind = ["fp", "th"] if verify else ["fp"]
     first = F.min(F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "rid")).alias("first")
@@ -348,5 +347,5 @@ def near_duplicates(docs: DataFrame, radius: int = 3, segments: int = 2, feature
 
 def drop_near_duplicates(docs: DataFrame, **how) -> DataFrame:
     """One row of each class: the one with the least doc_id. Columns are those of ``docs``."""
-    found, rows, rid = near_duplicates(docs, **how)
-    return rows.join(found.where("keep").select(F.col("rid").alias(rid)), rid, "left_semi").select(*[F.col(f"`{c}`") for c in docs.columns])
+    found, rows, rid = near_duplicates(numbered(docs)[0] if not how.get("verify") else docs, **how)
+    return rows.join(found.where("keep").select(F.col("rid").alias(rid)), rid, "left_semi").select(*map(named, docs.columns))
