@@ -5,13 +5,16 @@ of labelled rows.  A text is compressed against each dictionary; the language
 whose dictionary gives the fewest bytes wins, and the relative gap to the
 runner-up is the score.  Narrow margins are rejected (``rejected`` is true).
 
-Bounds: at most ``ROWS`` sampled rows a language, each whole text of at most
-``ROW_CHARS`` characters, ``DICT_BYTES`` a dictionary and ``LANGS`` languages
-(the most frequent; ties by name).  Prediction reads every whole text, in
+Bounds of the fit: about ``ROWS`` sampled rows a language, of each text at most
+``ROW_CHARS`` characters (a longer one gives a slice at a place set by its hash),
+``DICT_BYTES`` a dictionary and ``ALL_BYTES`` all of them: every language is
+learned, with smaller dictionaries where there are very many.  Prediction reads every whole text, in
 pieces of ``PIECE`` bytes so that one long text can't outgrow the dictionary.
 
 Edge cases: text null or without a letter gives ``und`` with score 0, rejected;
-no labelled row at all gives ``und`` everywhere; ties go to the smaller name.
+no labelled row at all gives ``und`` everywhere; ties go to the smaller name; an
+empty table gives no rows; repeated rows are predicted alike; input columns named
+like an output are replaced.
 """
 
 from __future__ import annotations
@@ -23,7 +26,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-ROWS, ROW_CHARS, DICT_BYTES, LANGS, PIECE, LEVEL, MIN_MARGIN = 96, 8192, 1 << 17, 256, 4096, 3, 0.02
+from .common import fresh_name, in_order, named
+
+ROWS, ROW_CHARS, DICT_BYTES, ALL_BYTES, PIECE, LEVEL, MIN_MARGIN = 96, 8192, 1 << 17, 1 << 25, 4096, 3, 0.02
 LETTER = regex.compile(r"\p{L}")
 
 
@@ -33,17 +38,20 @@ def fit(rows: DataFrame, text: str = "text", lang: str = "lang", key: str = "doc
     One pass counts usable rows a language; a second keeps those whose hash falls below the share
     that is expected to give ``ROWS`` of them, so no language gathers in one task.
     """
-    usable = rows.where(F.col(lang).isNotNull() & F.col(text).rlike(r"\p{L}") & (F.length(text) <= ROW_CHARS)).select(F.col(lang).cast("string").alias("lang"), F.col(text).alias("text"), F.xxhash64(F.lit(11), F.col(key), F.col(text)).alias("h"))
-    counts = usable.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(LANGS).collect()
+    h = F.xxhash64(F.lit(11), named(key), named(text))
+    start = F.pmod(h, F.greatest(F.length(named(text)) - ROW_CHARS + 1, F.lit(1))).cast("int") + 1  # a long text gives a slice
+    usable = rows.where(named(lang).isNotNull() & named(text).rlike(r"\p{L}")).select(named(lang).cast("string").alias("lang"), F.substring(named(text), start, F.lit(ROW_CHARS)).alias("text"), h.alias("h"))
+    counts = usable.groupBy("lang").count().collect()  # a row a language
     if not counts:
         return {}
     share = F.create_map(*[x for r in counts for x in (F.lit(r["lang"]), F.lit(min(1.0, ROWS / r["count"])))])
     unit = F.shiftrightunsigned("h", 11) / F.lit(float(1 << 53))
-    picked = usable.where(F.col("lang").isin([r["lang"] for r in counts])).where(unit < share[F.col("lang")]).orderBy("h", "lang").limit(2 * ROWS * len(counts)).collect()
+    picked = usable.where(unit < share[F.col("lang")]).orderBy("h", "lang").limit(2 * ROWS * len(counts)).collect()
     out: dict[str, list[bytes]] = {}
     for r in picked:
         out.setdefault(r["lang"], []).append(r["text"].encode("utf-8", "replace"))
-    return {name: b"\n".join(parts)[-DICT_BYTES:] for name, parts in sorted(out.items())}
+    room = min(DICT_BYTES, max(1 << 10, ALL_BYTES // len(out)))
+    return {name: b"\n".join(parts)[-room:] for name, parts in sorted(out.items())}
 
 
 class Classifier:
@@ -69,9 +77,9 @@ def predict(docs: DataFrame, dictionaries: dict[str, bytes], text: str = "text")
     """``docs`` without its text plus ``lang_pred``, ``score`` (0 to 1) and ``rejected``. Only the text is read for a prediction."""
     new = ["lang_pred", "score", "rejected"]
     kept = [c for c in docs.columns if c.lower() not in {text.lower(), *new}]
-    source = docs.select(*kept, F.col(text).cast("string").alias("__text"))
+    source = docs.select(*map(named, kept), named(text).cast("string").alias(fresh_name(docs, "text_")))
     schema = T.StructType([*(docs.schema[c] for c in kept), T.StructField("lang_pred", T.StringType()), T.StructField("score", T.DoubleType()), T.StructField("rejected", T.BooleanType())])
-    shared = docs.sparkSession.sparkContext.broadcast(dictionaries)  # at most LANGS * DICT_BYTES
+    shared = docs.sparkSession.sparkContext.broadcast(dictionaries)  # about ALL_BYTES at most
 
     def run(batches):
         own = Classifier(shared.value)
@@ -80,4 +88,4 @@ def predict(docs: DataFrame, dictionaries: dict[str, bytes], text: str = "text")
             got = [own.predict(t.as_py()) for t in texts]
             yield pa.RecordBatch.from_arrays([*cols, pa.array([g[0] for g in got], pa.string()), pa.array([g[1] for g in got], pa.float64()), pa.array([g[2] for g in got], pa.bool_())], names=[*kept, *new])
 
-    return source.mapInArrow(run, schema)
+    return in_order(source).mapInArrow(run, schema)

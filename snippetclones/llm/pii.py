@@ -5,7 +5,7 @@ stated test; the added kinds (``iban`` by mod-97, ``national_id`` by context)
 are reported where their score reaches ``MIN_SCORE``.  Each search is linear in
 the text: a search starts only where a match could begin.
 
-Edge cases: null text is empty and has no spans; repeated rows are searched
+Edge cases: null and empty texts have no spans; an empty table gives no rows; repeated rows are searched
 independently; input columns named like an output are replaced.
 """
 
@@ -18,6 +18,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from .common import fresh_name, in_order, named
+
 #: The order of kinds, and the patterns of the contract.
 KINDS = ("email", "ip", "card", "phone", "iban", "national_id")
 LOCAL_PART = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-")
@@ -112,7 +114,7 @@ SPAN = T.StructType([T.StructField("kind", T.StringType()), T.StructField("start
 def find_personal_data(docs: DataFrame, text: str = "text", out: str = "pii") -> DataFrame:
     """``docs`` without its text plus ``pii``: the array of scored spans. Narrow map, no shuffle."""
     kept = [c for c in docs.columns if c.lower() not in {text.lower(), out}]
-    source = docs.select(*kept, F.col(text).cast("string").alias("__text"))
+    source = docs.select(*map(named, kept), named(text).cast("string").alias(fresh_name(docs, "text_")))
     schema = T.StructType([*(docs.schema[c] for c in kept), T.StructField(out, T.ArrayType(SPAN))])
     kind = pa.list_(pa.struct([("kind", pa.string()), ("start", pa.int64()), ("end", pa.int64()), ("score", pa.float64())]))
 
@@ -121,7 +123,7 @@ def find_personal_data(docs: DataFrame, text: str = "text", out: str = "pii") ->
             *cols, texts = batch.columns
             yield pa.RecordBatch.from_arrays([*cols, pa.array([find(t.as_py()) for t in texts], kind)], names=[*kept, out])
 
-    return source.mapInArrow(run, schema)
+    return in_order(source).mapInArrow(run, schema)
 
 
 def redact(text: str | None, spans: list[dict]) -> str | None:
