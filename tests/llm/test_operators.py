@@ -102,7 +102,7 @@ def test_exact_topk(spark):
     x = rng.normal(size=(900, 8)).astype(np.float32)
     x[100:400] = x[7]
     rows = vec(spark, [(i, v.tolist(), "x") for i, v in enumerate(x)] + [(900, None, "x"), (901, [None] * 8, "x"), (902, [float("nan")] * 8, "x"), (903, [], "x"), (None, [1.0] * 8, "x")])
-    z = rows.select("vec_id", exact_topk.quantise(F.col("v")).alias("v"))
+    z = rows
     out = exact_topk.exact_topk(z, vectors.query_rows(z, 50), 5, tile_rows=128, tile_queries=8).collect()
     q = np.floor(256 * x.astype(float)).astype(int)
     for i in range(0, 900, 50):
@@ -122,7 +122,6 @@ def test_ann_recall(spark):
     hit = 0
     for i in ids[ids % 20 == 0]:
         s = x @ x[np.searchsorted(ids, i)]
-        best = {int(j) for j in ids[np.lexsort((ids, -s))] if j != i}
         best = set([int(j) for j in ids[np.lexsort((ids, -s))] if j != i][:20])
         hit += len(best & {r.vec_id for r in out if r.query_id == i})
     assert hit / (20 * (ids % 20 == 0).sum()) >= 0.9
@@ -212,17 +211,17 @@ def test_mixing_targets_and_fit(spark):
     want = {"a": 20.0, "b": 200.0, "c": 1.5 * 1110 - 220, None: 0.0}
     assert {k: pytest.approx(v) for k, v in want.items()} == got
     rng = np.random.default_rng(4)
-    for _ in range(50):
-        lengths = sorted({int(x) for x in rng.integers(1, 40, 6)})
-        counts = [int(x) for x in rng.integers(1, 4, len(lengths))]
-        budget = int(rng.integers(0, 120))
+    for _ in range(1500):
+        lengths = sorted({int(x) for x in rng.integers(1, rng.choice([8, 60, 300]), rng.integers(1, 7))})
+        counts = [int(x) for x in rng.integers(1, 5, len(lengths))]
+        budget = int(rng.integers(0, sum(a * c for a, c in zip(lengths, counts, strict=True)) + 4))
         take = mixing.fit_counts(lengths, counts, budget)
         reach = {0}
         for a, c in zip(lengths, counts, strict=True):
             reach = {r + a * k for r in reach for k in range(c + 1)}
         total = sum(a * t for a, t in zip(lengths, take, strict=True))
         assert all(0 <= t <= c for t, c in zip(take, counts, strict=True)) and total <= budget
-        assert total >= max(r for r in reach if r <= budget) - max(lengths)
+        assert total == max(r for r in reach if r <= budget)
 
 
 def test_mixing_query(spark):
@@ -327,3 +326,210 @@ def test_sketch_bound_keeps_every_similar_pair(spark):
     pairs = {(i, j): share(sets[i], sets[j]) for i in range(len(sets)) for j in range(i + 1, len(sets))}
     assert {p for p, s in pairs.items() if s >= 0.8} <= got
     assert not {p for p in got if pairs[p] < 0.5 and len(sets[p[1]]) <= 300}  # sketches of far larger sets are full and exclude nothing
+
+
+def _planes(rng, n):
+    """A text of ``n`` code points from all planes, rich in blanks and contractions."""
+    out = []
+    while len(out) < n:
+        c = int(rng.integers(0, 0x110000)) if rng.random() < 0.5 else int(rng.integers(32, 0x250))
+        out.append(str(rng.choice(list(" '\n\tsretvlldm"))) if rng.random() < 0.3 else "" if 0xD800 <= c < 0xE000 else chr(c))
+    return "".join(out)
+
+
+def test_codec_and_counts_on_all_planes():
+    from tokenizers import Tokenizer
+
+    from snippetclones.llm.char_classes import library_classes
+
+    rng = np.random.default_rng(8)
+    one, six = queries.tokenizer_path("word_bpe_49k.json"), queries.tokenizer_path("byte_bpe_50k.json")
+    codec, ref1, counter, ref6 = bpe_codec.BpeCodec(one), Tokenizer.from_file(one), token_counts.CountTransducer(six), Tokenizer.from_file(six)
+    edge = [t for a, b in library_classes().unlike for c in (a, b) for t in (chr(c) + "'re a", "a" + chr(c), "1" + chr(c) + " " + chr(c))]
+    for t in [*edge, *(_planes(rng, int(rng.integers(1, 40))) for _ in range(1200))]:
+        want = ref1.encode(t, add_special_tokens=False).ids
+        assert codec.encode(t) == want and codec.decode(want) == ref1.decode(want, skip_special_tokens=False)
+        assert {counter.count(t, c) for c in (1, 2, 5, token_counts.CHUNK)} == {len(ref6.encode(t, add_special_tokens=False).ids)}
+
+
+def test_counts_of_endless_classes(monkeypatch):
+    """Millions of characters of one class, and fewer compiled states than the text would need."""
+    import time
+
+    from tokenizers import Tokenizer
+
+    path = queries.tokenizer_path("byte_bpe_50k.json")
+    own, ref = token_counts.CountTransducer(path), Tokenizer.from_file(path)
+    for t in ("a" * 10**6, " " * 10**6, "'" * 10**6, "日本" * 300_000, "\n \t" * 200_000):
+        began = time.time()
+        assert own.count(t) == len(ref.encode(t, add_special_tokens=False).ids)
+        assert time.time() - began < 30
+    monkeypatch.setattr(token_counts, "STATES", 500)
+    rng = np.random.default_rng(1)
+    t = "".join(rng.choice(list("abcdefghijklmnop 0123"), 100_000))
+    assert own.count(t, 1000) == len(ref.encode(t, add_special_tokens=False).ids)
+    assert len(own.merge.states) < 500 + 2 * token_counts.SLICE
+
+
+def test_exact_topk_large_components(spark):
+    """No clip: whole numbers of any length where a double can't hold the scores, and the nearest long beyond."""
+    big = spark.createDataFrame([(0, [300000.0, 0.5]), (1, [400000.0, -0.5]), (2, [-1e30, 1.0]), (3, [1e30, 2.0]), (50, [1.0, 1.0])], "vec_id long, embedding array<double>")
+    rows = vectors.usable(big)
+    got = {(r.query_id, r.vec_id): r.score for r in exact_topk.exact_topk(rows, rows).collect()}
+    assert got[0, 1] == 300000 * 256 * 400000 * 256 - 128 * 128
+    assert got[0, 2] == -(1 << 63) and got[0, 3] == (1 << 63) - 1
+    assert got[50, 0] == 256 * 300000 * 256 + 256 * 128
+
+
+def test_exact_topk_skips_postings():
+    rng = np.random.default_rng(4)
+    x = np.floor(256 * rng.normal(size=(4000, 32)) * np.repeat([[1.0], [0.1]], [40, 3960], axis=0))
+    index = exact_topk.ImpactIndex(x)
+    found = index.search(x[:32], 5, [np.array([i]) for i in range(32)])
+    s = x[:32] @ x.T
+    s[np.arange(32), np.arange(32)] = -np.inf
+    assert all((f[0] == np.lexsort((np.arange(4000), -s[i]))[:5]).all() for i, f in enumerate(found))
+    assert index.read < 0.7 * 32 * len(index.rows)
+
+
+CLASH = "`doc_id` long, `Text` string, lang string, source string, n_chars long, `a.b` string, `__text` string, text_ string, rid string, _rid string, gone_ string, lines_ string, full_ string, copies string, n_tokens string, n_lines string, expected_grade string, lang_pred string, pii string"
+LONG = "word " * 300_000
+
+
+def test_every_operator_takes_odd_tables(spark):
+    """Dots, capitals and the operators' own names among the columns; null, empty and very long texts, repeated rows, a null id; an empty table."""
+    texts = ["one two three four\nfive six seven eight", None, "", "one two three four\nfive six seven eight", LONG, "call +1 212 555 0100"]
+    odd = spark.createDataFrame([(None if i == 1 else 5 if i == 3 else i, t, "en", None if i == 2 else "s", 0, *["x"] * 14) for i, t in enumerate(texts)], CLASH)
+    one, six = queries.tokenizer_path("word_bpe_49k.json"), queries.tokenizer_path("byte_bpe_50k.json")
+    model = quality.fit_rows([(*quality.features("good text here"), 2), (*quality.features("bad ### ###"), 0)] * 20)
+    runs = {
+        "codec": lambda d: bpe_codec.encode_documents(d, one),
+        "lines": line_dedup.dedup_lines,
+        "language": lambda d: language_id.predict(d, language_id.fit(d)),
+        "counts": lambda d: token_counts.count_tokens(d, six),
+        "simhash": lambda d: simhash.near_duplicates(d)[0],
+        "simhash rows": lambda d: simhash.drop_near_duplicates(d, radius=7, segments=4, features="distinct", verify=(5, 0.8)),
+        "mix": lambda d: mixing.mix(d)[0],
+        "mixed": mixing.mixed_documents,
+        "quality": lambda d: quality.rate(d, model),
+        "pii": pii.find_personal_data,
+    }
+    for name, run in runs.items():
+        rows = run(odd).collect()
+        assert len(rows) == 6 if name not in ("simhash rows", "mixed") else rows, name
+        if "a.b" in rows[0].asDict():
+            assert rows[0]["a.b"] == "x" and rows[0]["gone_"] == "x", name
+        assert run(odd.where("false")).count() == 0, name
+    cleaned = {r["Text"] for r in line_dedup.dedup_lines(odd).collect()}
+    assert "" in cleaned and LONG in cleaned and None in cleaned
+
+
+def test_numbers_hold_for_shuffled_input(spark):
+    """Rows dealt anew at every evaluation: what is deleted and taken still belongs to its row."""
+    d = spark.createDataFrame([(i, f"shared line of five words\nown words of document {i} here") for i in range(200)], "doc_id long, text string")
+    out = line_dedup.dedup_lines(d.orderBy(F.rand())).collect()
+    assert all(r.text.endswith(f"own words of document {r.doc_id} here") for r in out) and sum(r.n_removed for r in out) == 199
+    s = d.withColumn("source", F.lit("s")).orderBy(F.rand())
+    taken = mixing.mixed_documents(s).groupBy("doc_id", "text").count().collect()
+    assert all(r.text.endswith(f"document {r.doc_id} here") and r["count"] <= 2 for r in taken)
+
+
+def test_language_brute_force(texts):
+    """The smallest total over pieces, compressed one by one with a fresh compressor for each dictionary."""
+    import zstandard
+
+    held = {"a": "\n".join(t for t in texts[:20] if t).encode(), "b": "\n".join(t for t in texts[20:40] if t).encode()}
+    own = language_id.Classifier(held)
+    for t in [x for x in texts[40:70] if x and any(c.isalpha() for c in x)]:
+        raw = t.encode()
+        size = {n: sum(len(zstandard.ZstdCompressor(level=language_id.LEVEL, dict_data=zstandard.ZstdCompressionDict(d, dict_type=zstandard.DICT_TYPE_RAWCONTENT), write_content_size=False, write_checksum=False).compress(raw[i : i + language_id.PIECE])) for i in range(0, len(raw), language_id.PIECE)) for n, d in held.items()}
+        best, other = sorted(size, key=lambda n: (size[n], n))
+        got = own.predict(t)
+        assert got[0] == best and abs(got[1] - (size[other] - size[best]) / size[other]) < 1e-12
+
+
+def test_languages_of_long_texts_and_many_languages(spark):
+    rows = [(i, " ".join(f"tok{i}x{j}" for j in range(40)), f"l{i:03d}", "s") for i in range(300)] + [(900, "zebra quagga okapi " * 900, "long", "s")]
+    held = language_id.fit(spark.createDataFrame(rows, "doc_id long, text string, lang string, source string"))
+    assert len(held) == 301 and language_id.Classifier(held).predict("quagga zebra okapi zebra quagga okapi")[0] == "long"
+
+
+def test_quality_brute_force():
+    """Fitted weights against a dense evaluation: gradients vanish numerically and no step in any direction lowers the loss."""
+    rng = np.random.default_rng(2)
+    rows = []
+    for i in range(300):
+        g = i % 3
+        rows.append((*quality.features(" ".join(rng.choice([f"g{g}w{k}" for k in range(4)] + [f"c{k}" for k in range(20)], 30))), g))
+    m = quality.fit_rows(rows, steps=1500)
+    x = np.zeros((len(rows), len(m.places)))
+    for i, (at, value, _) in enumerate(rows):
+        j = np.searchsorted(m.places, at)
+        ok = (j < len(m.places)) & (m.places[np.minimum(j, len(m.places) - 1)] == at)
+        x[i, j[ok]] = value[ok]
+    y = np.array([r[2] for r in rows])
+
+    def loss(w, t):
+        cum = np.concatenate([np.zeros((len(y), 1)), 1 / (1 + np.exp(-(t[None, :] - (x @ w)[:, None]))), np.ones((len(y), 1))], axis=1)
+        return -np.log(np.maximum(cum[np.arange(len(y)), y + 1] - cum[np.arange(len(y)), y], 1e-12)).mean() + 0.5e-6 * (w @ w)
+
+    base = loss(m.weights, m.thresholds)
+    assert base < 0.05
+    for _ in range(50):
+        d = rng.normal(size=len(m.weights))
+        assert loss(m.weights + 0.05 * d / np.linalg.norm(d), m.thresholds) > base - 5e-3
+    assert np.allclose([m.of(*r[:2]) for r in rows], x @ m.weights)
+
+
+def test_pipeline_stages_against_brute_force(spark):
+    """Each stage on its predecessor's real output, recomputed in plain Python."""
+    import corpus_pipeline as p
+
+    documents = spark.read.parquet(f"{DIR}/documents.parquet")
+    key = lambda df: sorted(((r.doc_id, r.text, r.source) for r in df.collect()), key=repr)
+    model = quality.fit(documents, quality.graded(spark.read.parquet(f"{DIR}/labels.parquet")))
+    rated = p.written(p.quality_stage(spark, documents, DIR), "t")
+    tail = lambda t: model.tails(np.array([model.score(t)]))[0, -1]
+    assert key(rated) == key(documents) if model is None else {r[0] for r in key(rated)} == {r[0] for r in key(documents) if tail(r[1]) >= quality.REJECT_BELOW}
+    lines = p.written(p.line_stage(spark, rated, DIR), "t")
+    left = brute_lines([(k, t or "") for k, t, _ in key(rated)], line_dedup.MIN_WORDS)
+    assert {r[0]: r[1] or "" for r in key(lines)} == left
+    assert all(r.n_chars == len(r.text or "") for r in lines.collect())
+    unique = p.written(p.near_duplicate_stage(spark, lines, DIR), "t")
+    sets, ids = {}, [r[0] for r in key(lines)]
+    for k, t, _ in key(lines):
+        w = (t or "").lower().split()
+        sets[k] = {tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))} if w else set()
+    root = {k: k for k in ids}
+
+    def top(k):
+        while root[k] != k:
+            k = root[k]
+        return k
+
+    for i, a in enumerate(ids):
+        for b in ids[:i]:
+            if 10 * len(sets[a] & sets[b]) >= 8 * len(sets[a] | sets[b]):
+                x, y = top(a), top(b)
+                root[max(x, y)] = min(x, y)
+    assert {r[0] for r in key(unique)} == {k for k in ids if root[k] == k}
+    mixed = p.written(p.mixing_stage(spark, unique, DIR), "t")
+    size = lambda t: len((t or "").split())
+    sources = {}
+    for _, t, s in key(unique):
+        sources.setdefault(s, []).append(size(t))
+    goal = {r.source: r.target for r in mixing.targets(spark.createDataFrame([(s, sum(v)) for s, v in sources.items()], "source string, source_size long")).collect()}
+    for s, v in sources.items():
+        got = sum(size(t) for _, t, x in key(mixed) if x == s)
+        whole, rest = divmod(round(goal[s]), sum(v))
+        reach = 1
+        for n in v:
+            reach |= reach << n
+        assert got == whole * sum(v) + (reach & ((1 << (rest + 1)) - 1)).bit_length() - 1, s
+    assert max(mixed.groupBy("doc_id").count().toPandas()["count"]) <= 2
+    from tokenizers import Tokenizer
+
+    ref = Tokenizer.from_file(queries.tokenizer_path("word_bpe_49k.json"))
+    texts_of = {k: t for k, t, _ in key(mixed)}
+    for r in p.encoding_stage(spark, mixed, DIR).collect():
+        assert list(struct.unpack(f"<{r.n_tokens}I", r.ids_le)) == ref.encode(texts_of[r.doc_id] or "", add_special_tokens=False).ids
