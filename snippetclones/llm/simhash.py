@@ -43,7 +43,8 @@ SEED = 42
 BITS = 64
 BLOCK, BLOCK_SHINGLES = 1024, 1 << 19  # texts and shingles a side of a verification block, about
 BUCKET = 1 << 22  # shingles a bucket, where their holders are counted
-FLUSH = 1 << 21  # shingles that a task holds before it deals them out
+FLUSH = 1 << 20  # shingles that a task holds before it deals them out
+SLICE = 512  # texts whose shingle sets travel to the JVM together
 SKETCH = 512  # bits of a parity sketch, kept as 64-bit words
 SKETCH_WORDS = [f"sk{i}" for i in range(SKETCH // BITS)]
 
@@ -283,7 +284,7 @@ def verified(pairs: DataFrame, docs: DataFrame, rid: str, size: int, similarity:
 
     def run(batches):
         kind = pa.list_(pa.int64())
-        for b in batches:
+        for b in (batch.slice(i, SLICE) for batch in batches for i in range(0, batch.num_rows, SLICE)):
             sets = [shingle_set(t.as_py(), size) for t in b["t"]]
             yield pa.RecordBatch.from_arrays([b["rid"], pa.array(sets, kind)], names=["rid", "sh"])
 
