@@ -14,8 +14,10 @@ Bounds: ``SAMPLE`` rows for fitting and calibration, at most ``LEAVES`` leaves
 (the tree and the leaf counts are all that the driver holds).
 
 Edge cases: null, empty, zero or non-finite vectors take no part; rows sharing
-the query's id are its own; fewer candidates than k give all that are found in
-the visited leaves; an empty table gives no rows; ties go to the smaller id.
+the query's id are its own, and rows that repeat a query's id are one query, with the
+least of their vectors; a query visits leaves until they hold more than k rows,
+so it gets k where there are as many (of ids that don't repeat); an empty table
+gives no rows; ties go to the smaller id.
 """
 
 from __future__ import annotations
@@ -28,6 +30,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import vectors
+from .common import cut
 
 SAMPLE, LEAVES, LEAF_ROWS, BRANCH, RECALL, TILE_ROWS, TILE_QUERIES, CALIBRATE = 16384, 4096, 256, 8, 0.97, 8192, 4096, 400
 FOUND = "query_id long, vec_id long, score double"
@@ -85,17 +88,18 @@ class KMeansTree:
         down(self.root, np.arange(len(x)))
         return out
 
-    def visit(self, q: np.ndarray, most: int, affinity: np.ndarray | None = None) -> list[int]:
-        """The first ``most`` leaves of a best-bin-first walk."""
+    def visit(self, q: np.ndarray, most: int, affinity: np.ndarray | None = None, rows: dict[int, int] | None = None, need: int = 0) -> list[int]:
+        """The first ``most`` leaves of a best-bin-first walk, and more of them until they hold ``need`` of the counted ``rows``."""
         near = self.table @ q if affinity is None else affinity
-        queue, out = [(0.0, self.root)], []
-        while queue and len(out) < most:
+        queue, out, held = [(0.0, self.root)], [], 0
+        while queue and (len(out) < most or held < need):
             _, node = heapq.heappop(queue)
             if self.children[node]:
                 for c in self.children[node]:
                     heapq.heappush(queue, (-near[c], c))
             else:
                 out.append(self.leaf_of[node])
+                held += rows.get(out[-1], 0) if rows else 0
         return out
 
     @property
@@ -192,7 +196,7 @@ def nearest_neighbours(rows: DataFrame, queries: DataFrame, k: int = 20) -> Data
         for b in batches:
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(own.route(vectors.widen(vectors.matrix(b["v"]), own.centres[0].shape[0])[:, : own.centres[0].shape[0]]), pa.int32())], names=["vec_id", "v", "leaf"])
 
-    placed = rows.select("vec_id", "v").mapInArrow(route, "vec_id long, v array<double>, leaf int")
+    placed = cut(rows.select("vec_id", "v").mapInArrow(route, "vec_id long, v array<double>, leaf int"))  # routed once, read twice
     counts = {r["leaf"]: r["count"] for r in placed.groupBy("leaf").count().collect()}
     tile_of, spread, tile, room = {}, {}, -1, 0
     for leaf in sorted(counts):  # neighbouring leaves share a tile; a large leaf gets tiles of its own
@@ -204,11 +208,11 @@ def nearest_neighbours(rows: DataFrame, queries: DataFrame, k: int = 20) -> Data
                 tile, room = tile + 1, TILE_ROWS
             tile_of[leaf], room = tile, room - counts[leaf]
     query_tiles = max(1, -(-queries.count() // TILE_QUERIES))
-    plan = spark.sparkContext.broadcast((tile_of, spread))
+    plan = spark.sparkContext.broadcast((tile_of, spread, counts))  # a few numbers a leaf
 
     def probe(batches):
         own, most = held.value
-        tiles, wide = plan.value
+        tiles, wide, held_rows = plan.value
         dims = own.centres[0].shape[0]
         table = own.table
         for b in batches:
@@ -216,7 +220,7 @@ def nearest_neighbours(rows: DataFrame, queries: DataFrame, k: int = 20) -> Data
             at, goes, leaves = [], [], []
             for i in range(b.num_rows):
                 to: dict[int, list[int]] = {}
-                for leaf in own.visit(None, most, near[i]):
+                for leaf in own.visit(None, most, near[i], held_rows, k + 1):
                     for t in range(wide.get(leaf, 1)) if leaf in tiles else ():
                         to.setdefault(tiles[leaf] + t, []).append(leaf)
                 for t, these in to.items():
