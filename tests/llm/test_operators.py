@@ -533,3 +533,15 @@ def test_pipeline_stages_against_brute_force(spark):
     texts_of = {k: t for k, t, _ in key(mixed)}
     for r in p.encoding_stage(spark, mixed, DIR).collect():
         assert list(struct.unpack(f"<{r.n_tokens}I", r.ids_le)) == ref.encode(texts_of[r.doc_id] or "", add_special_tokens=False).ids
+
+
+def test_ann_visits_until_k_rows(spark):
+    """One visit would end in a leaf of few rows; the walk goes on until k others are there."""
+    rng = np.random.default_rng(6)
+    x = np.concatenate([rng.normal(size=(600, 4)) + 20 * np.eye(4)[i % 4] for i in range(2)] + [np.full((3, 4), -50.0)])
+    rows = vec(spark, [(i, v.tolist(), "x") for i, v in enumerate(x)])
+    tree = ann_tree.KMeansTree(x.astype(float), 4)
+    sizes = dict(zip(*(a.tolist() for a in np.unique(tree.route(x), return_counts=True)), strict=True))
+    assert all(sum(sizes.get(leaf, 0) for leaf in tree.visit(x[i], 1, None, sizes, 21)) >= 21 for i in (0, 700, 1201))
+    out = ann_tree.nearest_neighbours(rows, vectors.query_rows(rows, 20), 20).groupBy("query_id").count().collect()
+    assert all(r["count"] == 20 for r in out) and len(out) == -(-len(x) // 20)
