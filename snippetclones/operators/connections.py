@@ -28,7 +28,10 @@ def per_notebook(notebooks: DataFrame, counts: DataFrame, self_loop: str = "edge
 
 
 def per_repository(counts: DataFrame) -> DataFrame:
-    """``(nb_id, repo, other, c)``: connections of each notebook to each repository it is connected with (own loops as edges)."""
+    """``(nb_id, repo, other, c)``: connections of each notebook to each repository it is connected with (own loops as edges).
+
+    The result itself has a row for each notebook and partner; ``partners`` counts them without it.
+    """
     by_repo = counts.groupBy("h", "repo").agg(F.sum("n").alias("r")).withColumnRenamed("repo", "other")
     joined = counts.join(by_repo, "h")
     n, r = F.col("n"), F.col("r")
@@ -36,10 +39,38 @@ def per_repository(counts: DataFrame) -> DataFrame:
     return joined.groupBy("nb_id", "repo", "other").agg(F.sum(c).cast("long").alias("c")).where("c > 0")
 
 
-def inter_mean(conn: DataFrame, vector: DataFrame) -> DataFrame:
+#: Repositories of a fingerprint that are listed one by one; more are kept as bitmaps.
+LISTED = 64
+
+
+def partners(counts: DataFrame, holders: DataFrame | None = None) -> DataFrame:
+    """``(nb_id, m)``: the number of other repositories that each notebook is connected with, exactly.
+
+    ``holders(h, other)``: the repositories behind each fingerprint, the notebook's own included; by default those that hold it.
+    Repositories get dense numbers.  A fingerprint of few repositories lists them; one of many holds a bitmap
+    (one bit a repository), and notebooks unite bitmaps, so a hot fingerprint costs each of its notebooks a
+    bitmap and not a row for each repository.
+    """
+    if holders is None:
+        holders = counts.select("h", F.col("repo").alias("other")).distinct()
+    numbers = holders.select("other").distinct().select("other", F.row_number().over(Window.orderBy("other")).cast("long").alias("id"))  # as many rows as repositories
+    known = holders.join(numbers, "other").select("h", "id")
+    known = known.join(known.groupBy("h").agg(F.count("*").alias("k")), "h")
+    few = known.where(F.col("k") <= LISTED).groupBy("h").agg(F.collect_list("id").alias("ids"))
+    place, bit = F.bitmap_bucket_number("id"), F.bitmap_bit_position("id")
+    many = known.where(F.col("k") > LISTED).groupBy("h", place.alias("bucket")).agg(F.bitmap_construct_agg(bit).alias("bits"))
+    wide = counts.select("nb_id", "h").join(many, "h").select("nb_id", "bucket", "bits")
+    hot = wide.select("nb_id").distinct().withColumn("hot", F.lit(True))
+    listed = counts.select("nb_id", "h").join(few, "h").select("nb_id", F.explode("ids").alias("id")).distinct().join(hot, "nb_id", "left")
+    plain = listed.where("hot IS NULL").groupBy("nb_id").agg((F.count("*") - 1).alias("m"))
+    bits = listed.where("hot").groupBy("nb_id", place.alias("bucket")).agg(F.bitmap_construct_agg(bit).alias("bits")).union(wide)
+    united = bits.groupBy("nb_id", "bucket").agg(F.bitmap_or_agg("bits").alias("bits")).groupBy("nb_id").agg((F.sum(F.bitmap_count("bits")) - 1).alias("m"))
+    return plain.union(united)
+
+
+def inter_mean(conn: DataFrame, partners: DataFrame) -> DataFrame:
     """``conn`` plus ``m``, the number of other repositories connected, and ``ic`` = sc / m (0 without any)."""
-    m = vector.where("repo <> other").groupBy("nb_id").agg(F.count("*").alias("m"))
-    return conn.join(m, "nb_id", "left").na.fill(0, ["m"]).withColumn("ic", F.coalesce(F.try_divide(F.col("sc"), F.col("m")), F.lit(0.0)))
+    return conn.join(partners, "nb_id", "left").na.fill(0, ["m"]).withColumn("ic", F.coalesce(F.try_divide(F.col("sc"), F.col("m")), F.lit(0.0)))
 
 
 def inter_mean_sketched(conn: DataFrame, counts: DataFrame) -> DataFrame:

@@ -39,21 +39,21 @@ def items(bags: DataFrame) -> DataFrame:
     return per.select("bag_id", "n_tok", F.explode(F.transform(F.sequence(F.lit(1), F.col("c").cast("int")), lambda k: F.concat("tok", F.lit("#"), k.cast("string")))).alias("item"))
 
 
-def candidates(bags: DataFrame, tenths: int = 8) -> DataFrame:
-    """Distinct pairs that share a prefix item and whose sizes allow the overlap."""
-    it = items(bags)
+def candidates(it: DataFrame, tenths: int = 8) -> DataFrame:
+    """Distinct pairs of bags, given as items, that share a prefix item and whose sizes and places in the prefix allow the overlap."""
     df = it.groupBy("item").agg(F.count("*").alias("df"))
     order = Window.partitionBy("bag_id").orderBy("df", "item")
     prefix = it.join(df, "item").withColumn("k", F.row_number().over(order)).where(F.col("k") <= F.col("n_tok") - least_overlap(F.col("n_tok"), tenths) + 1)
-    a = prefix.select("item", F.col("bag_id").alias("a"), F.col("n_tok").alias("na"))
-    b = prefix.select("item", F.col("bag_id").alias("b"), F.col("n_tok").alias("nb"))
-    fits = F.least("na", "nb") >= least_overlap(F.greatest("na", "nb"), tenths)
+    a = prefix.select("item", F.col("bag_id").alias("a"), F.col("n_tok").alias("na"), F.col("k").alias("ka"))
+    b = prefix.select("item", F.col("bag_id").alias("b"), F.col("n_tok").alias("nb"), F.col("k").alias("kb"))
+    # from the first shared item on, at most the shorter rest can be shared: that item's row keeps a pair that has the overlap
+    fits = F.least(F.col("na") - F.col("ka"), F.col("nb") - F.col("kb")) + 1 >= least_overlap(F.greatest("na", "nb"), tenths)
     return a.join(b, "item").where((F.col("a") < F.col("b")) & fits).select("a", "b").distinct()
 
 
-def verify(cand: DataFrame, bags: DataFrame, tenths: int = 8) -> DataFrame:
+def verify(cand: DataFrame, it: DataFrame, tenths: int = 8) -> DataFrame:
     """``(a, b, overlap, sim)`` of candidates that reach the overlap."""
-    sets = items(bags).groupBy("bag_id", "n_tok").agg(F.collect_list("item").alias("items"))
+    sets = it.groupBy("bag_id", "n_tok").agg(F.collect_list("item").alias("items"))
     j = cand.join(sets.select(F.col("bag_id").alias("a"), F.col("items").alias("ia"), F.col("n_tok").alias("na")), "a").join(sets.select(F.col("bag_id").alias("b"), F.col("items").alias("ib"), F.col("n_tok").alias("nb")), "b")
     overlap = F.size(F.array_intersect("ia", "ib"))
     most = F.greatest("na", "nb")
@@ -62,12 +62,12 @@ def verify(cand: DataFrame, bags: DataFrame, tenths: int = 8) -> DataFrame:
 
 def pairs(bags: DataFrame, tenths: int = 8, method: str = "prefix") -> DataFrame:
     """All cross-bag pairs at theta = tenths / 10; ``lsh`` proposes by banded minima instead (recall below 1)."""
-    return verify(candidates(bags, tenths) if method == "prefix" else lsh_candidates(bags), bags, tenths)
+    it = C.cut(items(bags))
+    return verify(candidates(it, tenths) if method == "prefix" else lsh_candidates(it), it, tenths)
 
 
-def lsh_candidates(bags: DataFrame, bands: int = 24, rows: int = 3) -> DataFrame:
+def lsh_candidates(it: DataFrame, bands: int = 24, rows: int = 3) -> DataFrame:
     """Pairs that agree in a band of MinHash minima: native hashes, one aggregation, an equi-join on the band."""
-    it = items(bags)
     minima = it.groupBy("bag_id").agg(*[F.min(F.xxhash64(F.lit(s), "item")).alias(f"m{s}") for s in range(bands * rows)])
     keys = minima.select("bag_id", F.explode(F.array(*[F.xxhash64(F.lit(b), *[f"m{b * rows + r}" for r in range(rows)]) for b in range(bands)])).alias("key"))
     x, y = keys.select("key", F.col("bag_id").alias("a")), keys.select("key", F.col("bag_id").alias("b"))
@@ -115,9 +115,15 @@ def sanitise(lines: DataFrame, value: str = "value") -> tuple[DataFrame, DataFra
 
 def open_triples(found: DataFrame) -> DataFrame:
     """Count of a~b, b~c without a~c: the relation isn't transitive."""
-    both = found.select(F.col("a").alias("x"), F.col("b").alias("y")).union(found.select(F.col("b").alias("x"), F.col("a").alias("y")))
-    wedge = both.select(F.col("x").alias("mid"), F.col("y").alias("l")).join(both.select(F.col("x").alias("mid"), F.col("y").alias("r")), "mid").where("l < r")
-    return wedge.join(both.select(F.col("x").alias("l"), F.col("y").alias("r")), ["l", "r"], "left_anti").agg(F.count("*").alias("open_triples"))
+    ends = found.select(F.explode(F.array("a", "b")).alias("x")).groupBy("x").agg(F.count("*").alias("d"))
+    wedges = ends.agg(F.coalesce(F.sum(F.col("d") * (F.col("d") - 1) / 2), F.lit(0)).cast("long").alias("wedges"))
+    # triangles from edges that point to the end of more links: no node has more than the root of twice the links
+    known = found.join(ends.toDF("a", "da"), "a").join(ends.toDF("b", "db"), "b")
+    up = (F.col("da") < F.col("db")) | ((F.col("da") == F.col("db")) & (F.col("a") < F.col("b")))
+    edge = known.select(F.when(up, F.col("a")).otherwise(F.col("b")).alias("u"), F.when(up, F.col("b")).otherwise(F.col("a")).alias("v"))
+    two = edge.toDF("u", "v").join(edge.toDF("u", "w"), "u").where("v <> w")
+    closed = two.join(edge.toDF("v", "w"), ["v", "w"], "left_semi").agg(F.count("*").alias("triangles"))
+    return wedges.crossJoin(closed).select((F.col("wedges") - 3 * F.col("triangles")).alias("open_triples"))  # one row each
 
 
 def components(found: DataFrame) -> DataFrame:

@@ -63,6 +63,15 @@ def deviated(counts: DataFrame, templates: DataFrame, theta: float) -> DataFrame
     return shared.join(own, "nb_id").where(F.col("shared") >= theta * F.col("own")).select("nb_id", "template")
 
 
+def template_uses(templates: DataFrame, counts: DataFrame) -> DataFrame:
+    """``(nb_id, cells, found, documents)`` of each template: its cells, those that the corpus holds, and the notebooks that hold any."""
+    cells = templates.select("nb_id", "pos", "h")
+    own = cells.groupBy("nb_id").agg(F.count("*").alias("cells"))
+    found = cells.join(counts.select("h").distinct(), "h", "left_semi").groupBy("nb_id").agg(F.count("*").alias("found"))
+    uses = cells.select("nb_id", "h").distinct().join(counts.select("h", F.col("nb_id").alias("other")), "h").select("nb_id", "other").distinct().groupBy("nb_id").agg(F.count("*").alias("documents"))
+    return own.join(found, "nb_id", "left").join(uses, "nb_id", "left").na.fill(0, ["found", "documents"])
+
+
 def headline(notebooks: DataFrame, cells: DataFrame) -> DataFrame:
     """One wide row with the headline numbers."""
     ne = cmw.non_empty(cells)

@@ -13,6 +13,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import tails
+from .components import cut
 
 POINTS = (0.1, 0.25, 0.5, 0.75, 0.9)
 NAMES = ("p10", "p25", "median", "p75", "p90")
@@ -43,6 +44,7 @@ def skew_report(df: DataFrame, cols: list[str]) -> DataFrame:
 def mid_ranks(hist: DataFrame, value: str = "v", count: str = "c", distributed: bool | None = None) -> DataFrame:
     """``hist`` with the mid-rank ``rank`` of each distinct value and the running count."""
     if distributed is None:
+        hist = cut(hist)
         distributed = hist.count() > FEW_VALUES
     if not distributed:
         cum = F.sum(count).over(Window.orderBy(value))
@@ -98,7 +100,7 @@ def _group_hist(df: DataFrame, group: str, y: str) -> DataFrame:
 
 def kruskal(df: DataFrame, group: str, y: str, exclude: tuple[str, ...] = ("UNDEFINED",)) -> DataFrame:
     """Kruskal-Wallis H with tie correction: ``(k, n, statistic, df, p, log10_p)``."""
-    cells = _group_hist(df, group, y).where(~F.col("g").isin(list(exclude)))
+    cells = cut(_group_hist(df, group, y).where(~F.col("g").isin(list(exclude))))
     values = mid_ranks(cells.groupBy("v").agg(F.sum("c").alias("t")), "v", "t").select("v", "t", "rank")
     ties = values.agg(F.sum((F.col("t").cast("double") ** 3) - F.col("t")).alias("ties"))
     per = cells.join(values.select("v", "rank"), "v").groupBy("g").agg(F.sum("c").alias("n"), F.sum(F.col("c") * F.col("rank")).alias("s"))
@@ -121,7 +123,7 @@ def anova(df: DataFrame, group: str, y: str) -> DataFrame:
 def residual_moments(df: DataFrame, group: str, y: str) -> DataFrame:
     """Skewness, excess kurtosis and Jarque-Bera of the residuals about group means."""
     m = df.where(F.col(group).isNotNull()).groupBy(group).agg(F.avg(y).alias("__m"))
-    r = df.join(F.broadcast(m), group).select((F.col(y) - F.col("__m")).alias("r"))
+    r = df.join(m, group).select((F.col(y) - F.col("__m")).alias("r"))
     s = r.agg(F.count("r").alias("n"), F.skewness("r").alias("skewness"), F.kurtosis("r").alias("kurtosis"))
     return s.withColumn("jarque_bera", F.col("n") / 6 * (F.col("skewness") ** 2 + F.col("kurtosis") ** 2 / 4))
 
@@ -129,9 +131,12 @@ def residual_moments(df: DataFrame, group: str, y: str) -> DataFrame:
 def pairwise_ranksum(df: DataFrame, group: str, y: str, exclude: tuple[str, ...] = ("UNDEFINED",)) -> DataFrame:
     """Wilcoxon rank-sum of every pair of groups, with tie and continuity correction: ``(g1, g2, n1, n2, w, statistic, p, log10_p)``."""
     cells = _group_hist(df, group, y).where(~F.col("g").isin(list(exclude)))
-    a, b = cells.select(F.col("g").alias("g1")).distinct(), cells.select(F.col("g").alias("g2")).distinct()
-    pairs = a.join(F.broadcast(b), F.col("g1") < F.col("g2"))  # groups are a handful
-    both = cells.join(F.broadcast(pairs), (F.col("g") == F.col("g1")) | (F.col("g") == F.col("g2")))
+    cells = cut(cells)
+    groups = cells.select("g").distinct().agg(F.array_sort(F.collect_set("g")).alias("all"))  # a row; the result has one for each pair of groups anyway
+    first = F.explode(F.transform("all", lambda x, i: F.struct(x.alias("g1"), F.slice("all", i + 2, F.size("all")).alias("later"))))
+    pairs = groups.select(first.alias("e")).select("e.g1", F.explode("e.later").alias("g2"))
+    ends = pairs.select(F.col("g1").alias("g"), "g1", "g2").union(pairs.select(F.col("g2").alias("g"), "g1", "g2"))
+    both = cells.join(ends, "g")
     per = both.groupBy("g1", "g2", "v").agg(F.sum("c").alias("t"), F.sum(F.when(F.col("g") == F.col("g1"), F.col("c")).otherwise(0)).alias("x"))
     upto = F.sum("t").over(Window.partitionBy("g1", "g2").orderBy("v"))
     ranked = per.withColumn("rank", upto - (F.col("t") - 1) / 2)

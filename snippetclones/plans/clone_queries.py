@@ -9,7 +9,7 @@ from ..functions import normalize as N
 from ..operators import cmw, connections as C, distributions as D, frequency as Q, review as R, stats as S
 from ..sources import segment as seg
 from .registry import query
-from .sqltext import BLOCK_CELLS, ORDER_CELLS, PAGE_CELLS, SUMMARY_SPEC, TURN_CELLS, WHOLE_CELLS, signed_sql, spearman_sql, summary, with_
+from .sqltext import BLOCK_CELLS, ORDER_CELLS, PAGE_CELLS, SUMMARY_SPEC, TURN_CELLS, WHOLE_CELLS, p_chi2, p_normal, p_t, signed_sql, spearman_sql, summary, with_
 
 W = with_
 
@@ -28,7 +28,7 @@ def conn(s, d):
 
 def full_conn(s, d):
     n = cmw.counts(lines(s, d))
-    return C.inter_mean(C.per_notebook(seg.notebooks(s, d), n), C.per_repository(n))
+    return C.inter_mean(C.per_notebook(seg.notebooks(s, d), n), C.partners(n))
 
 
 # --- exact clones ----------------------------------------------------------
@@ -213,7 +213,7 @@ def freq_vs_cells(s, d):
     return D.grid2d(freq(s, d), F.col("cells"), F.least(F.floor(F.col("freq") / 0.05), F.lit(19)))
 
 
-@query("n:l rho:d statistic:d", W(spearman_sql("freq", "cells", "freq"), "freq"))
+@query("n:l rho:d statistic:d p:d", W(f"SELECT *, {p_t('statistic', '(n - 2)')} AS p FROM ({spearman_sql('freq', 'cells', 'freq')}) q", "freq"))
 def spearman(s, d):
     return S.spearman(freq(s, d), "cells", "freq")
 
@@ -235,7 +235,7 @@ _KW = """SELECT count(*) AS k, sum(c) AS n, (12 / (sum(c) * (sum(c) + 1)) * sum(
 FROM (SELECT lang, count(*)::DOUBLE AS c, sum(r) AS t FROM (SELECT lang, rank() OVER (ORDER BY freq) + (count(*) OVER (PARTITION BY freq) - 1) / 2 AS r FROM freq) GROUP BY lang)"""
 
 
-@query("k:l n:l statistic:d df:l", W(_KW, "freq"))
+@query("k:l n:l statistic:d df:l p:d", W(f"SELECT *, {p_chi2('statistic', 'df')} AS p FROM ({_KW}) q", "freq"))
 def kruskal_wallis(s, d):
     return S.kruskal(freq(s, d), "lang", "freq")
 
@@ -253,41 +253,45 @@ _RS = """SELECT g1, g2, n1, n2, w, (w - n1 * n2 / 2 - sign(w - n1 * n2 / 2) * 0.
   GROUP BY g1, g2)"""
 
 
-@query("g1:s g2:s n1:l n2:l w:d statistic:d", W(_RS, "freq"))
+_FAMILY = f"SELECT *, {p_normal('statistic')} AS p FROM ({_RS}) q"
+
+
+@query("g1:s g2:s n1:l n2:l w:d statistic:d p:d", W("SELECT * FROM fam", "freq", fam=_FAMILY))
 def pairwise_ranksum(s, d):
     return S.pairwise_ranksum(freq(s, d), "lang", "freq")
 
 
-def _known_p(s):
-    return s.createDataFrame([("a", 0.01), ("b", 0.02), ("c", 0.03), ("d", 0.04), ("e", 0.0004)], "name string, p double")
+def family(s, d):
+    """The tests that are adjusted together: all pairs of languages."""
+    return S.pairwise_ranksum(freq(s, d), "lang", "freq")
 
 
-_P = "p AS (SELECT * FROM (VALUES ('a', 0.01::DOUBLE), ('b', 0.02), ('c', 0.03), ('d', 0.04), ('e', 0.0004)) AS t(name, p))"
-_HOCH = f"WITH {_P} SELECT name, p, least(1.0, min(p * i) OVER (ORDER BY i)) AS adjusted FROM (SELECT *, row_number() OVER (ORDER BY p DESC) AS i FROM p)"
+_HOCH = "SELECT *, least(1.0, min(p * i) OVER (ORDER BY i)) AS adjusted FROM (SELECT *, row_number() OVER (ORDER BY p DESC) AS i FROM fam)"
+_GRADED = f"SELECT *, CASE WHEN adjusted < 0.001 THEN '***' WHEN adjusted < 0.01 THEN '**' WHEN adjusted < 0.05 THEN '*' ELSE '' END AS grade FROM ({_HOCH})"
 
 
-@query("name:s p:d adjusted:d", _HOCH)
+@query("g1:s g2:s p:d adjusted:d", W(_HOCH, "freq", fam=_FAMILY))
 def p_hochberg(s, d):
-    return S.adjust(_known_p(s))
+    return S.adjust(family(s, d))
 
 
-@query("name:s p:d adjusted:d", f"WITH {_P} SELECT name, p, least(1.0, p * (SELECT count(*) FROM p)) AS adjusted FROM p")
+@query("g1:s g2:s p:d adjusted:d", W("SELECT *, least(1.0, p * (SELECT count(*) FROM fam)) AS adjusted FROM fam", "freq", fam=_FAMILY))
 def p_bonferroni(s, d):
-    return S.adjust(_known_p(s), "bonferroni")
+    return S.adjust(family(s, d), "bonferroni")
 
 
-@query("name:s adjusted:d grade:s", f"SELECT name, adjusted, CASE WHEN adjusted < 0.001 THEN '***' WHEN adjusted < 0.01 THEN '**' WHEN adjusted < 0.05 THEN '*' ELSE '' END AS grade FROM ({_HOCH})")
+@query("g1:s g2:s adjusted:d grade:s", W(_GRADED, "freq", fam=_FAMILY))
 def significance_grade(s, d):
-    return S.grade(S.adjust(_known_p(s)))
+    return S.grade(S.adjust(family(s, d)))
 
 
-@query("g1:s g2:s statistic:d p:d adjusted:d grade:s")
+@query("g1:s g2:s statistic:d p:d adjusted:d grade:s", W(_GRADED, "freq", fam=_FAMILY))
 def language_posthoc(s, d):
     """The whole post-hoc table: rank-sum, p, step-up adjustment and marks."""
-    return S.grade(S.adjust(S.pairwise_ranksum(freq(s, d), "lang", "freq")))
+    return S.grade(S.adjust(family(s, d)))
 
 
-@query("statistic:d p:d log10_p:d")
+@query("statistic:d p:d log10_p:d", W(f"SELECT statistic, p, log10(p) AS log10_p FROM (SELECT *, {p_chi2('statistic', 'df')} AS p FROM ({_KW}) q)", "freq"))
 def udf_pandas_pvalue(s, d):
     return S.kruskal(freq(s, d), "lang", "freq")
 
@@ -345,12 +349,12 @@ def conn_inter_mean_sketched(s, d):
     return C.inter_mean_sketched(C.per_notebook(seg.notebooks(s, d), n), n)
 
 
-@query("n:l v:d statistic:d", W(signed_sql("conn", "c0", "ic"), "conn"))
+@query("n:l v:d statistic:d p:d", W(f"SELECT *, {p_normal('statistic')} AS p FROM ({signed_sql('conn', 'c0', 'ic')}) q", "conn"))
 def signed_rank_c0_ic(s, d):
     return S.signed_rank(full_conn(s, d), "c0", "ic")
 
 
-@query("n:l v:d statistic:d", W(signed_sql("conn", "c0", "sc"), "conn"))
+@query("n:l v:d statistic:d p:d", W(f"SELECT *, {p_normal('statistic')} AS p FROM ({signed_sql('conn', 'c0', 'sc')}) q", "conn"))
 def signed_rank_c0_sc(s, d):
     return S.signed_rank(conn(s, d), "c0", "sc")
 

@@ -7,8 +7,9 @@ from pyspark.sql import functions as F
 from ..functions import normalize as N
 from ..operators import cmw, connections as C, corpus, distributions as D, frequency as Q, language as L, nearmiss as M, stats as S
 from ..sources import notebooks as nb, segment as seg
+from ..operators.components import cut
 from .registry import query
-from .sqltext import BLOCK_CELLS, ORDER_CELLS, SUMMARY_SPEC, TURN_CELLS, WHOLE_CELLS, signed_sql, spearman_sql, summary, with_ as W
+from .sqltext import BLOCK_CELLS, ORDER_CELLS, SUMMARY_SPEC, TURN_CELLS, WHOLE_CELLS, p_normal, p_t, signed_sql, spearman_sql, summary, with_ as W
 
 # --- acquisition -----------------------------------------------------------
 _URL = r"""(CASE WHEN true THEN regexp_replace(regexp_replace(lower(regexp_extract(u, '^([A-Za-z]+://[^/?]*)', 1)), '^https?://(www\.|m\.)?', 'https://'), ':(80|443)$', '') || regexp_replace(regexp_replace(u, '^[A-Za-z]+://[^/?]*', ''), '/+$', '') END)"""
@@ -99,7 +100,7 @@ def corpus_totals(s, d):
 
 
 for _key, _col, _drop in (("size_hist_cells", "n_cells", 0), ("size_hist_bytes", "bytes", 0), ("size_hist_loc", "loc_all", 1), ("size_hist_loc_nb", "loc_nb", 1)):
-    _where = f" WHERE {_col} < (SELECT max({_col}) FROM sz)" if _drop else ""
+    _where = f" WHERE {_col} < (SELECT max({_col}) FROM sz) OR (SELECT count(*) FROM sz WHERE {_col} = (SELECT max({_col}) FROM sz)) > 1" if _drop else ""
     query("bin:l cnt:l", _sizes_sql(f"SELECT floor(log2({_col} + 1)) AS bin, count(*) AS cnt FROM sz{_where} GROUP BY 1"), name=_key)(lambda s, d, c=_col, k=_drop: D.hist(block_sizes(s, d), c, log2=True, drop_top=k))
 
 
@@ -173,8 +174,8 @@ def tok(s, d, cells=seg.doc_lines):
 
 def near(s, d, cells=seg.doc_lines, tenths=8):
     t = tok(s, d, cells)
-    b = M.distinct_bags(t)
-    return t, b, M.pairs(b, tenths)
+    b = cut(M.distinct_bags(t))
+    return t, b, cut(M.pairs(b, tenths))
 
 
 def nm_flags_df(s, d):
@@ -330,7 +331,7 @@ def nm_frequency_grid(s, d):
     return D.grid2d(nfreq(s, d), F.col("cells"), F.least(F.floor(F.col("freq") / 0.05), F.lit(19)))
 
 
-@query("n:l rho:d statistic:d", W(spearman_sql("nfreq", "cells", "freq"), "nfreq"))
+@query("n:l rho:d statistic:d p:d", W(f"SELECT *, {p_t('statistic', '(n - 2)')} AS p FROM ({spearman_sql('nfreq', 'cells', 'freq')}) q", "nfreq"))
 def nm_spearman(s, d):
     return S.spearman(nfreq(s, d), "cells", "freq")
 
@@ -400,8 +401,8 @@ def nm_components(s, d):
 
 
 # near-miss connections
-def nconn(s, d):
-    t, _, p = near(s, d)
+def nconn(s, d, parts=None):
+    t, _, p = parts or near(s, d)
     c = C.near_miss(p, M.bag_counts(t))
     out = english(s, d).select("nb_id", "repo").join(c.drop("repo"), "nb_id", "left").na.fill(0)
     return out.withColumn("norm", F.coalesce(F.try_divide(F.col("edge"), F.col("cells")), F.lit(0.0)))
@@ -422,19 +423,20 @@ def nm_conn_hist(s, d):
     return D.hist(nconn(s, d), "edge", log2=True)
 
 
-@query("n:l v:d statistic:d", W(signed_sql("nconn", "c0", "sc"), "nconn"))
+@query("n:l v:d statistic:d p:d", W(f"SELECT *, {p_normal('statistic')} AS p FROM ({signed_sql('nconn', 'c0', 'sc')}) q", "nconn"))
 def nm_signed_rank_c0_sc(s, d):
     return S.signed_rank(nconn(s, d), "c0", "sc")
 
 
 def nm_ic(s, d):
     """Near-miss connections with the number of other repositories and the mean inter connections."""
-    t, _, p = near(s, d)
-    n = M.bag_counts(t)
-    adj = p.select("a", "b").union(p.select(F.col("b"), F.col("a"))).union(n.select("bag_id", "bag_id").toDF("a", "b").distinct())
-    repos = n.select(F.col("bag_id").alias("b"), F.col("repo").alias("other")).distinct()
-    m = n.join(adj, F.col("bag_id") == F.col("a")).join(repos, "b").where("repo <> other").select("nb_id", "other").distinct().groupBy("nb_id").agg(F.count("*").alias("m"))
-    return nconn(s, d).join(m, "nb_id", "left").na.fill(0, ["m"]).withColumn("ic", F.coalesce(F.try_divide(F.col("sc"), F.col("m")), F.lit(0.0)))
+    parts = near(s, d)
+    t, b, p = parts
+    n = M.bag_counts(t).withColumnRenamed("bag_id", "h")
+    adj = p.select("a", "b").union(p.select(F.col("b"), F.col("a"))).union(b.select("bag_id", "bag_id").toDF("a", "b"))
+    repos = n.select(F.col("h").alias("b"), F.col("repo").alias("other")).distinct()
+    holders = adj.join(repos, "b").select(F.col("a").alias("h"), "other").distinct()
+    return C.inter_mean(nconn(s, d, parts), C.partners(n, holders))
 
 
 @query("nb_id:l m:l ic:d", W("SELECT * FROM nconn", "nconn"))
@@ -442,7 +444,7 @@ def nm_conn_inter_mean(s, d):
     return nm_ic(s, d)
 
 
-@query("n:l v:d statistic:d", W(signed_sql("nconn", "c0", "ic"), "nconn"))
+@query("n:l v:d statistic:d p:d", W(f"SELECT *, {p_normal('statistic')} AS p FROM ({signed_sql('nconn', 'c0', 'ic')}) q", "nconn"))
 def nm_signed_rank_c0_ic(s, d):
     return S.signed_rank(nm_ic(s, d), "c0", "ic")
 

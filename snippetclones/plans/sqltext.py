@@ -16,6 +16,37 @@ PAGE_CELLS = rf"""cells AS (SELECT nb_id, repo, lang, pos, code, 1 AS loc FROM (
 ORDER_CELLS = """cells AS (SELECT l_orderkey AS nb_id, CAST(o_custkey AS VARCHAR) AS repo, c_mktsegment AS lang, l_linenumber AS pos, l_partkey || '#' || CAST(l_quantity AS BIGINT) AS code, 1 AS loc
   FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey)"""
 
+PAGE_NBS = rf"""nbs AS (SELECT page_id AS nb_id, {HOST} AS repo, regexp_extract(html, '<html[^>]*lang="([a-z]+)', 1) AS lang FROM pages)"""
+ORDER_NBS = "nbs AS (SELECT o_orderkey AS nb_id, CAST(o_custkey AS VARCHAR) AS repo, c_mktsegment AS lang FROM orders JOIN customer ON o_custkey = c_custkey)"
+SESSION_CELLS = """cells AS (SELECT user_id * 1000000 + s AS nb_id, CAST(user_id AS VARCHAR) AS repo, event_type AS lang, row_number() OVER (PARTITION BY user_id, s ORDER BY ts, event_id) - 1 AS pos, concat_ws('#', event_type, props) AS code, 1 AS loc FROM (
+  SELECT *, sum(CASE WHEN coalesce(epoch_us(ts) - before > 1800000000, true) THEN 1 ELSE 0 END) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS s FROM (
+    SELECT *, lag(epoch_us(ts)) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS before FROM events)))"""
+BENCH_CELLS = """cells AS (SELECT nb_id, repo, lang, pos, code, greatest(1, len(regexp_extract_all(code, '[.!?]+'))) AS loc FROM (
+  SELECT -item_id - 1 AS nb_id, 'benchmark' AS repo, 'en' AS lang, unnest(range(0, len(s))) AS pos, unnest(s) AS code FROM (SELECT *, string_split(text, chr(10)) AS s FROM benchmark)))"""
+TEMPLATED_CELLS = f"cells AS (WITH {LINE_CELLS.replace('cells AS', 'dl AS', 1)}, {BENCH_CELLS.replace('cells AS', 'bl AS', 1)} SELECT * FROM dl UNION ALL SELECT * FROM bl)"
+
+
+def _integral(upper: str, integrand: str) -> str:
+    """Simpson's rule over 0 to ``upper``; ``{u}`` stands for the variable."""
+    u = f"(i * ({upper}) / 2000.0)"
+    return f"(({upper}) / 6000.0 * list_sum(list_transform(range(0, 2001), lambda i: (CASE WHEN i = 0 OR i = 2000 THEN 1 WHEN i % 2 = 1 THEN 4 ELSE 2 END) * {integrand.replace('{u}', u)})))"
+
+
+def p_normal(z: str) -> str:
+    """Two-sided tail of the normal distribution."""
+    return f"greatest(0.0, 1 - sqrt(2 / pi()) * {_integral(f'abs({z})', 'exp(-0.5 * {u} * {u})')})"
+
+
+def p_chi2(x: str, df: str) -> str:
+    """Upper tail of the chi-square distribution, integrated over the root."""
+    return f"greatest(0.0, 1 - 2 / (2 ** ({df} / 2.0) * gamma({df} / 2.0)) * {_integral(f'sqrt({x})', f'{{u}} ** ({df} - 1) * exp(-0.5 * {{u}} * {{u}})')})"
+
+
+def p_t(t: str, df: str) -> str:
+    """Two-sided tail of Student's distribution."""
+    return f"greatest(0.0, 1 - 2 * exp(lgamma(({df} + 1) / 2.0) - lgamma({df} / 2.0)) / sqrt({df} * pi()) * {_integral(f'abs({t})', f'(1 + {{u}} * {{u}} / ({df})) ** (-(({df}) + 1) / 2.0)')})"
+
+
 CTE = {
     "cells": LINE_CELLS,
     "nbs": "nbs AS (SELECT doc_id AS nb_id, source AS repo, lang FROM documents)",
@@ -58,7 +89,7 @@ CTE |= {
 _NEEDS |= {"sl": ["cells"], "tk": ["sl"], "tok": ["tk"], "bags": ["tok"], "bt": ["bags"], "ov": ["bt"], "prs": ["ov"], "nmf": ["prs", "bags"], "nfreq": ["nmf", "nbe"], "adj": ["prs", "bags"], "nedge": ["adj", "tok"], "nends": ["nedge"], "nconn": ["nends", "nbe", "tok"]}
 
 
-def with_(body: str, *names: str, cells: str = LINE_CELLS, **extra: str) -> str:
+def with_(body: str, *names: str, cells: str = LINE_CELLS, nbs: str | None = None, **extra: str) -> str:
     """``WITH`` the named blocks, what they need first, then ``extra`` blocks in order, then the body."""
     order: list[str] = []
 
@@ -70,7 +101,7 @@ def with_(body: str, *names: str, cells: str = LINE_CELLS, **extra: str) -> str:
 
     for n in names:
         need(n)
-    parts = [cells if n == "cells" else CTE[n] for n in order] + [f"{k} AS ({v})" for k, v in extra.items()]
+    parts = [cells if n == "cells" else nbs if n == "nbs" and nbs else CTE[n] for n in order] + [f"{k} AS ({v})" for k, v in extra.items()]
     return f"WITH {', '.join(parts)}\n{body}" if parts else body
 
 

@@ -53,6 +53,22 @@ def page_blocks(spark: SparkSession, sf_dir: str) -> DataFrame:
     return p.select(F.col("page_id").alias("nb_id"), page_host(F.col("url")).alias("repo"), F.regexp_extract("html", r'<html[^>]*lang="([a-z]+)', 1).alias("lang"), F.posexplode(bodies).alias("pos", "code")).withColumn("loc", F.lit(1))
 
 
+def page_notebooks(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return table(spark, sf_dir, "pages").select(F.col("page_id").alias("nb_id"), page_host(F.col("url")).alias("repo"), F.regexp_extract("html", r'<html[^>]*lang="([a-z]+)', 1).alias("lang"))
+
+
+def order_notebooks(spark: SparkSession, sf_dir: str) -> DataFrame:
+    o, c = table(spark, sf_dir, "orders"), table(spark, sf_dir, "customer")
+    return o.join(c, o["o_custkey"] == c["c_custkey"]).select(F.col("o_orderkey").alias("nb_id"), F.col("o_custkey").cast("string").alias("repo"), F.col("c_mktsegment").alias("lang"))
+
+
+def benchmark_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Lines of the benchmark's passages as template cells; their notebooks have negative numbers."""
+    b = table(spark, sf_dir, "benchmark")
+    cells = b.select((-F.col("item_id") - 1).alias("nb_id"), F.lit("benchmark").alias("repo"), F.lit("en").alias("lang"), F.posexplode(F.split("text", "\n")).alias("pos", "code"))
+    return cells.withColumn("loc", N.sentences(F.col("code")))
+
+
 def order_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Order lines as cells; line numbers repeat within an order, so the order has tie-breakers."""
     o, l, c = (table(spark, sf_dir, t) for t in ("orders", "lineitem", "customer"))
