@@ -33,7 +33,7 @@ def written(df: DataFrame, label: str) -> DataFrame:
     """Write to a fresh Parquet folder in the shared folder and read it back (compressed, columnar cut)."""
     spark = df.sparkSession
     path = f"{shared_dir(spark).rstrip('/')}/{re.sub('[^a-z0-9_]', '_', label)}_{uuid.uuid4().hex}"
-    df.write.parquet(path)
+    df.write.option("compression", "zstd").parquet(path)
     return spark.read.parquet(path)
 
 

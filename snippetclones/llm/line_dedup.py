@@ -109,7 +109,7 @@ def dedup_lines(docs: DataFrame, min_words: int = MIN_WORDS, doc_id: str = "doc_
     g, ls, full = (fresh_name(rows, x) for x in ("gone_", "lines_", "full_"))
     gone = gone.groupBy("rid").agg(F.array_distinct(F.flatten(F.collect_list("gone"))).alias(g)).withColumnRenamed("rid", rid)
     kept = [c for c in docs.columns if c.lower() not in {"n_lines", "n_removed"}]
-    marked = rows.select(rid, *[named(c) for c in kept], F.split(named(own).cast("string"), "\n").alias(ls)).join(gone, rid, "left")
+    marked = rows.join(gone, rid, "left").withColumn(ls, F.split(named(own).cast("string"), "\n"))  # texts travel once
     places = F.filter(F.transform(F.col(ls), lambda x, p: F.when(x.rlike(HAS_WORD), p)), lambda p: p.isNotNull())
     marked = marked.withColumn(full, F.when(F.col(g).isNotNull(), places))
     drop = F.transform(g, lambda i: F.get(F.col(full), i))
