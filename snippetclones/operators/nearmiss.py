@@ -62,7 +62,7 @@ def verify(cand: DataFrame, it: DataFrame, tenths: int = 8) -> DataFrame:
 
 def pairs(bags: DataFrame, tenths: int = 8, method: str = "prefix") -> DataFrame:
     """All cross-bag pairs at theta = tenths / 10; ``lsh`` proposes by banded minima instead (recall below 1)."""
-    it = C.cut(items(bags))
+    it = items(bags)
     return verify(candidates(it, tenths) if method == "prefix" else lsh_candidates(it), it, tenths)
 
 

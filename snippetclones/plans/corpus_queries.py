@@ -174,8 +174,8 @@ def tok(s, d, cells=seg.doc_lines):
 
 def near(s, d, cells=seg.doc_lines, tenths=8):
     t = tok(s, d, cells)
-    b = cut(M.distinct_bags(t))
-    return t, b, cut(M.pairs(b, tenths))
+    b = M.distinct_bags(t)
+    return t, b, M.pairs(b, tenths)
 
 
 def nm_flags_df(s, d):
@@ -430,8 +430,9 @@ def nm_signed_rank_c0_sc(s, d):
 
 def nm_ic(s, d):
     """Near-miss connections with the number of other repositories and the mean inter connections."""
-    parts = near(s, d)
-    t, b, p = parts
+    t, b, p = near(s, d)
+    p = cut(p)  # read by the connections and by the holders
+    parts = t, b, p
     n = M.bag_counts(t).withColumnRenamed("bag_id", "h")
     adj = p.select("a", "b").union(p.select(F.col("b"), F.col("a"))).union(b.select("bag_id", "bag_id").toDF("a", "b"))
     repos = n.select(F.col("h").alias("b"), F.col("repo").alias("other")).distinct()
