@@ -28,7 +28,7 @@ def small(spark):
 def test_connections_known(small):
     nbs, ne = small
     n = cmw.counts(ne)
-    conn = connections.inter_mean(connections.per_notebook(nbs, n), connections.per_repository(n))
+    conn = connections.inter_mean(connections.per_notebook(nbs, n), connections.partners(n))
     got = {r.nb_id: (r.edge, r.c0, r.sc, r.m, r.ic) for r in conn.collect()}
     assert got == {1: (5, 3, 2, 1, 2.0), 2: (3, 2, 1, 1, 1.0), 3: (3, 0, 3, 1, 3.0)}
     ends = {r.nb_id: r.edge for r in connections.per_notebook(nbs, n, "endpoint").collect()}
