@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from ..functions import normalize as N
 from ..operators import cmw, connections as C, distributions as D, frequency as Q, review as R, stats as S
+from ..operators.components import cut
 from ..sources import segment as seg
 from .registry import query
 from .sqltext import BLOCK_CELLS, ORDER_CELLS, PAGE_CELLS, SUMMARY_SPEC, TURN_CELLS, WHOLE_CELLS, p_chi2, p_normal, p_t, signed_sql, spearman_sql, summary, with_
@@ -27,7 +28,7 @@ def conn(s, d):
 
 
 def full_conn(s, d):
-    n = cmw.counts(lines(s, d))
+    n = cut(cmw.counts(lines(s, d)))  # read with different columns by sizes, holders and partners: one scan of the texts instead of one each
     return C.inter_mean(C.per_notebook(seg.notebooks(s, d), n), C.partners(n))
 
 

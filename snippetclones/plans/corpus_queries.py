@@ -402,8 +402,11 @@ def nm_components(s, d):
 
 # near-miss connections
 def nconn(s, d, parts=None):
-    t, _, p = parts or near(s, d)
-    c = C.near_miss(p, M.bag_counts(t))
+    """Near-miss connections; ``parts``: pairs and bag counts where the caller has made them."""
+    if parts is None:
+        t, _, p = near(s, d)
+        parts = p, M.bag_counts(t)
+    c = C.near_miss(*parts)
     out = english(s, d).select("nb_id", "repo").join(c.drop("repo"), "nb_id", "left").na.fill(0)
     return out.withColumn("norm", F.coalesce(F.try_divide(F.col("edge"), F.col("cells")), F.lit(0.0)))
 
@@ -430,14 +433,13 @@ def nm_signed_rank_c0_sc(s, d):
 
 def nm_ic(s, d):
     """Near-miss connections with the number of other repositories and the mean inter connections."""
-    t, b, p = near(s, d)
-    p = cut(p)  # read by the connections and by the holders
-    parts = t, b, p
-    n = M.bag_counts(t).withColumnRenamed("bag_id", "h")
-    adj = p.select("a", "b").union(p.select(F.col("b"), F.col("a"))).union(b.select("bag_id", "bag_id").toDF("a", "b"))
+    t, _, p = near(s, d)
+    p, counts = cut(p), cut(M.bag_counts(t))  # both are read by the connections and by the holders: texts are cut to tokens once for each
+    n = counts.withColumnRenamed("bag_id", "h")
+    adj = p.select("a", "b").union(p.select(F.col("b"), F.col("a"))).union(counts.select("bag_id", "bag_id").toDF("a", "b").distinct())
     repos = n.select(F.col("h").alias("b"), F.col("repo").alias("other")).distinct()
     holders = adj.join(repos, "b").select(F.col("a").alias("h"), "other").distinct()
-    return C.inter_mean(nconn(s, d, parts), C.partners(n, holders))
+    return C.inter_mean(nconn(s, d, (p, counts)), C.partners(n, holders))
 
 
 @query("nb_id:l m:l ic:d", W("SELECT * FROM nconn", "nconn"))

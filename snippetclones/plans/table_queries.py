@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import functions as F
 
 from ..operators import cmw, connections as C, distributions as D, frequency as Q, review as R, stats as S
+from ..operators.components import cut
 from ..sources import segment as seg
 from .clone_queries import _KW, _RS, _TOTAL, _TOTALS
 from .registry import query
@@ -19,7 +20,7 @@ def page_counts(s, d):
 
 
 def page_conn(s, d):
-    n = page_counts(s, d)
+    n = cut(page_counts(s, d))
     return C.inter_mean(C.per_notebook(seg.page_notebooks(s, d), n), C.partners(n))
 
 
