@@ -108,16 +108,17 @@ def near_miss(pairs: DataFrame, bag_counts: DataFrame) -> DataFrame:
     of S, minus own cells; W is the same inside the notebook, and edges are P - W/2.
     """
     adj = pairs.select("a", "b").union(pairs.select(F.col("b").alias("a"), F.col("a").alias("b"))).union(bag_counts.select(F.col("bag_id").alias("a"), F.col("bag_id").alias("b")).distinct())
-    reach = bag_counts.join(adj, F.col("bag_id") == F.col("a")).select("nb_id", "repo", "n", "bag_id", "b")
     repo = bag_counts.groupBy("bag_id", "repo").agg(F.sum("n").alias("r"))
-    size = repo.groupBy("bag_id").agg(F.sum("r").alias("s"))
-    mine = bag_counts.select(F.col("nb_id").alias("nb2"), F.col("bag_id").alias("b2"), F.col("n").alias("w"))
-    full = reach.join(size.select(F.col("bag_id").alias("b"), "s"), "b")
-    full = full.join(repo.select(F.col("bag_id").alias("b"), "repo", "r"), ["b", "repo"], "left")
-    full = full.join(mine, (F.col("nb_id") == F.col("nb2")) & (F.col("b") == F.col("b2")), "left")
+    # sums over neighbours are made once a bag and once a bag and repository, not once for each notebook that holds it
+    around = adj.join(repo.withColumnRenamed("bag_id", "b"), "b").groupBy("a", "repo").agg(F.sum("r").alias("r")).withColumnRenamed("a", "bag_id")
+    full = bag_counts.join(around.groupBy("bag_id").agg(F.sum("r").alias("s")), "bag_id").join(around, ["bag_id", "repo"], "left")
+    mine = bag_counts.select("nb_id", F.col("bag_id").alias("b"), F.col("n").alias("m"))
+    links = pairs.select("a", "b").join(bag_counts.withColumnRenamed("bag_id", "a"), "a").join(mine, ["nb_id", "b"])
+    inside = links.groupBy("nb_id").agg((2 * F.sum(F.col("n") * F.col("m"))).alias("linked"))
     z = lambda c: F.coalesce(F.col(c), F.lit(0))
-    cells = bag_counts.groupBy("nb_id").agg(F.sum("n").alias("cells"))
-    p = full.groupBy("nb_id", "repo").agg(F.sum(F.col("n") * F.col("s")).alias("p"), F.sum(F.col("n") * z("r")).alias("p0"), F.sum(F.col("n") * z("w")).alias("w"))
-    p = p.join(cells, "nb_id")
+    cells = bag_counts.groupBy("nb_id").agg(F.sum("n").alias("cells"), F.sum(F.col("n") * F.col("n")).alias("same"))
+    p = full.groupBy("nb_id", "repo").agg(F.sum(F.col("n") * F.col("s")).alias("p"), F.sum(F.col("n") * z("r")).alias("p0"))
+    p = p.join(inside, "nb_id", "left").withColumn("linked", z("linked"))
+    p = p.join(cells, "nb_id").withColumn("w", F.col("same") + F.col("linked"))
     half = F.floor((F.col("w") - F.col("cells")) / 2)
     return p.select("nb_id", "repo", "cells", (F.col("p") - F.col("cells") - half).cast("long").alias("edge"), (F.col("p0") - F.col("cells") - half).cast("long").alias("c0"), (F.col("p") - F.col("p0")).cast("long").alias("sc"))

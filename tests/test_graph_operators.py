@@ -88,3 +88,18 @@ def test_pairwise_tests_of_many_groups(spark):
     out = stats.pairwise_ranksum(d, "g", "y").collect()
     assert len(out) == 21 and all(0 <= r.p <= 1 for r in out)
     assert stats.adjust(stats.pairwise_ranksum(d, "g", "y")).where(F.col("adjusted") < F.col("p")).count() == 0
+
+
+@pytest.mark.parametrize("tenths", [7, 8])
+def test_unlike_bags_end_inside_their_group(spark, tenths):
+    """Bags of all sketch sizes that share a rare token are no candidates unless they are near; no near pair is lost."""
+    rng = np.random.default_rng(tenths)
+    rows = []
+    for i, n in enumerate([40, 150, 260, 520, 1100] * 8):
+        base = [f"rare{i % 4}", *(f"w{int(x)}" for x in rng.integers(0, 4000, n))]
+        rows += [base, base[: -n // 8] + [f"new{i}"] * 2] if i % 5 == i // 8 else [base]
+    bags = spark.createDataFrame([(f"bag {i}", len(x), sorted(x), 1) for i, x in enumerate(rows)], "bag_id string, n_tok int, toks array<string>, mult long")
+    want = {(r.a, r.b, r.overlap) for r in nearmiss.brute_force(bags, tenths).collect()}
+    assert {(r.a, r.b, r.overlap) for r in nearmiss.pairs(bags, tenths).collect()} == want and want
+    assert nearmiss.candidates(nearmiss.stored(bags), tenths).count() <= len(want) + 20
+    assert nearmiss.pairs(bags.where("false"), tenths).count() == 0
