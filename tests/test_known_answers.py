@@ -145,3 +145,12 @@ def test_plans(spark):
     explain.check(connections.per_notebook(seg.notebooks(spark, d), cmw.counts(cmw.non_empty(seg.doc_lines(spark, d)))))
     explain.check(nearmiss.pairs(nearmiss.distinct_bags(nearmiss.tokenised(seg.doc_lines(spark, d)))))
     assert "PushedFilters: [IsNotNull(lang), EqualTo(lang,en)]" in explain.text(seg.doc_lines(spark, d).where("lang = 'en'"))
+
+
+def test_sessions_stay_out_of_the_driver(spark, tmp_path):
+    """Sessions are read back from files; a sink in memory would put each into the driver."""
+    at = lambda m: datetime(2024, 1, 1) + timedelta(minutes=m)
+    spark.createDataFrame([(1, 7, "a", "p", at(0)), (2, 7, "a", "p", at(20)), (3, 7, "a", "p", at(50)), (4, 8, "a", "p", at(5))], "event_id long, user_id long, event_type string, props string, ts timestamp").write.parquet(f"{tmp_path}/events.parquet")
+    out = events.sessions(spark, str(tmp_path))
+    assert sorted((r.user_id, r.n) for r in out.collect()) == [(7, 1), (7, 2), (8, 1)]
+    assert out.inputFiles()
