@@ -11,6 +11,7 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..operators.components import release as release
 from ..session import shared_dir, ship_package
 
 #: The word definition shared by several contracts: maximal runs without ASCII white space.
@@ -37,14 +38,6 @@ def written(df: DataFrame, label: str) -> DataFrame:
     return spark.read.parquet(path)
 
 
-def release(df: DataFrame) -> None:
-    """Delete the folder of a ``written`` frame that nothing reads any more."""
-    spark = df.sparkSession
-    for file in df.inputFiles()[:1]:
-        folder = spark._jvm.org.apache.hadoop.fs.Path(file).getParent()
-        folder.getFileSystem(spark._jsc.hadoopConfiguration()).delete(folder, True)
-
-
 def named(column: str):
     """A column by its whole name, dots and backticks included."""
     return F.col("`" + column.replace("`", "``") + "`")

@@ -1,6 +1,8 @@
 """Operators on links and ranks against plain Python on small random inputs."""
 
 import itertools
+import time
+from pathlib import Path
 
 import numpy as np
 import pytest
@@ -8,6 +10,7 @@ from pyspark.sql import functions as F
 
 from snippetclones import session
 from snippetclones.operators import connections, distributions, nearmiss, stats
+from snippetclones.plans import corpus_queries
 
 
 def test_components_of_a_long_chain(spark):
@@ -103,3 +106,20 @@ def test_unlike_bags_end_inside_their_group(spark, tenths):
     assert {(r.a, r.b, r.overlap) for r in nearmiss.pairs(bags, tenths).collect()} == want and want
     assert nearmiss.candidates(nearmiss.stored(bags), tenths).count() <= len(want) + 20
     assert nearmiss.pairs(bags.where("false"), tenths).count() == 0
+
+def test_near_miss_leaves_no_shuffle_files_and_no_tokens(spark, tmp_path):
+    """Bags and pairs take their own folders only: shuffles go when a cut is written, tokens when the bags are."""
+    rows = [(i, "s", "en", f"alpha beta gamma word{i % 9} word{i % 7}\n" * 2) for i in range(60)]
+    spark.createDataFrame(rows, "doc_id long, source string, lang string, text string").write.parquet(str(tmp_path / "documents.parquet"))
+    left = lambda kind: {p for p in Path(session.shared_dir(spark).removeprefix("file:")).glob(f"{kind}_*")}
+    disk = spark._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager()
+    files = lambda: sum(".data" in f and "shuffle_" in f for f in (disk.getAllFiles().apply(i).getName() for i in range(disk.getAllFiles().size())))
+    tokens, before = left("tokens"), files()
+    cells, bags, _ = corpus_queries.near(spark, str(tmp_path))
+    for _ in range(50):  # they are removed in the background
+        if files() <= before + 1:
+            break
+        time.sleep(0.1)
+    assert files() <= before + 1  # the counts of items are collected, not written
+    assert left("tokens") == tokens and "toks" not in cells.columns
+    assert cells.count() == 120 and bags.agg(F.sum("mult")).first()[0] == 120
