@@ -107,6 +107,23 @@ def test_unlike_bags_end_inside_their_group(spark, tenths):
     assert nearmiss.candidates(nearmiss.stored(bags), tenths).count() <= len(want) + 20
     assert nearmiss.pairs(bags.where("false"), tenths).count() == 0
 
+@pytest.mark.parametrize("tenths", [5, 8])
+def test_bands_propose_the_pairs_of_their_join(spark, tenths):
+    """What a block says of its pairs is what the join on bands would find."""
+    rng = np.random.default_rng(tenths + 20)
+    rows = []
+    for i in range(150):
+        base = [f"w{int(x)}" for x in rng.integers(0, 5000, 20)]
+        rows += [base, base[: 2 * tenths] + [f"new{i}"] * (20 - 2 * tenths)]
+    bags = spark.createDataFrame([(f"bag {i}", len(x), sorted(x), 1) for i, x in enumerate(rows)], "bag_id string, n_tok int, toks array<string>, mult long")
+    known = nearmiss.stored(bags)
+    found = nearmiss.numbered_pairs(known, tenths, banded=True).select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"), "proposed").collect()
+    joined = {(r.a, r.b) for r in nearmiss.lsh_candidates(known).collect()}
+    assert len(found) >= 150 and any(r.proposed for r in found) and (tenths == 8 or not all(r.proposed for r in found))
+    assert all(r.proposed == ((r.a, r.b) in joined) for r in found)
+    assert nearmiss.numbered_pairs(known.where("false"), tenths, banded=True).count() == 0
+
+
 def test_near_miss_leaves_no_shuffle_files_and_no_tokens(spark, tmp_path):
     """Bags and pairs take their own folders only: shuffles go when a cut is written, tokens when the bags are."""
     rows = [(i, "s", "en", f"alpha beta gamma word{i % 9} word{i % 7}\n" * 2) for i in range(60)]
