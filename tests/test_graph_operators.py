@@ -140,3 +140,17 @@ def test_near_miss_leaves_no_shuffle_files_and_no_tokens(spark, tmp_path):
     assert files() <= before + 1  # the counts of items are collected, not written
     assert left("tokens") == tokens and "toks" not in cells.columns
     assert cells.count() == 120 and bags.agg(F.sum("mult")).first()[0] == 120
+
+
+@pytest.mark.parametrize("links", ["clique", "mixed"])
+def test_triangles_by_colours(spark, links):
+    """Every triangle is counted once, whatever colours its ends have, and wedges don't leave their group."""
+    rng = np.random.default_rng(4)
+    pairs = {(a, b) for a, b in itertools.combinations(range(40), 2) if links == "clique" or rng.random() < 0.2}
+    want = sum((a, b) in pairs and (b, c) in pairs and (a, c) in pairs for a, b, c in itertools.combinations(range(40), 3))
+    for kind, of in (("long", int), ("string", "n{}".format)):
+        edges = spark.createDataFrame([(of(a), of(b)) for a, b in sorted(pairs)], f"u {kind}, v {kind}")
+        out = nearmiss.triangles(edges)
+        assert out.agg(F.sum("n")).first()[0] == want > 0
+        assert "SortMergeJoin" not in out._jdf.queryExecution().toString()
+    assert nearmiss.triangles(edges.where("false")).count() == 0
