@@ -10,6 +10,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from .components import written
+
 
 def _with_sizes(counts: DataFrame) -> DataFrame:
     by_repo = counts.groupBy("h", "repo").agg(F.sum("n").alias("r"))
@@ -101,20 +103,34 @@ def edge_list(ne: DataFrame) -> DataFrame:
     return a.join(b, (F.col("a.h") == F.col("b.h")) & (F.col("a.cell") < F.col("b.cell"))).select(F.col("a.nb_id").alias("x"), F.col("b.nb_id").alias("y"), F.col("a.repo").alias("rx"), F.col("b.repo").alias("ry"))
 
 
-def near_miss(pairs: DataFrame, bag_counts: DataFrame) -> DataFrame:
-    """Connections over near-miss edges from adjacency and bag counts: ``(nb_id, repo, cells, edge, c0, sc)``.
+def around(pairs: DataFrame, bag_counts: DataFrame) -> DataFrame:
+    """``(bag_id, repo, r)``: cells of each repository that hold a bag or a neighbour of it.
 
-    With a(b) = b and its neighbours: endpoints P = sum over own bags of n_b times the sum over a(b)
-    of S, minus own cells; W is the same inside the notebook, and edges are P - W/2.
+    Sums over neighbours are made once a bag and repository, not once for each notebook that holds the bag.
     """
-    adj = pairs.select("a", "b").union(pairs.select(F.col("b").alias("a"), F.col("a").alias("b"))).union(bag_counts.select(F.col("bag_id").alias("a"), F.col("bag_id").alias("b")).distinct())
     repo = bag_counts.groupBy("bag_id", "repo").agg(F.sum("n").alias("r"))
-    # sums over neighbours are made once a bag and once a bag and repository, not once for each notebook that holds it
-    around = adj.join(repo.withColumnRenamed("bag_id", "b"), "b").groupBy("a", "repo").agg(F.sum("r").alias("r")).withColumnRenamed("a", "bag_id")
-    full = bag_counts.join(around.groupBy("bag_id").agg(F.sum("r").alias("s")), "bag_id").join(around, ["bag_id", "repo"], "left")
+    ends = pairs.select("a", "b").union(pairs.select("b", "a"))
+    return ends.join(repo.toDF("b", "repo", "r"), "b").select(F.col("a").alias("bag_id"), "repo", "r").union(repo).groupBy("bag_id", "repo").agg(F.sum("r").alias("r"))
+
+
+def links_inside(pairs: DataFrame, bag_counts: DataFrame) -> DataFrame:
+    """``(nb_id, n, m)``: pairs with both bags in a notebook, and their cells there; the notebooks of a pair's rarer bag are looked through."""
+    held = bag_counts.groupBy("bag_id").agg(F.count("*").alias("k"))
+    known = pairs.select("a", "b").join(held.toDF("a", "ka"), "a").join(held.toDF("b", "kb"), "b")
+    rare = F.col("ka") <= F.col("kb")
+    ends = known.select(F.when(rare, F.col("a")).otherwise(F.col("b")).alias("a"), F.when(rare, F.col("b")).otherwise(F.col("a")).alias("b"))
     mine = bag_counts.select("nb_id", F.col("bag_id").alias("b"), F.col("n").alias("m"))
-    links = pairs.select("a", "b").join(bag_counts.withColumnRenamed("bag_id", "a"), "a").join(mine, ["nb_id", "b"])
-    inside = links.groupBy("nb_id").agg((2 * F.sum(F.col("n") * F.col("m"))).alias("linked"))
+    return ends.join(bag_counts.select("nb_id", F.col("bag_id").alias("a"), "n"), "a").join(mine, ["nb_id", "b"]).select("nb_id", "n", "m")
+
+
+def near_miss(pairs: DataFrame, bag_counts: DataFrame, near: DataFrame) -> DataFrame:
+    """Connections over near-miss edges from adjacency and bag counts: ``(nb_id, repo, cells, edge, c0, sc)``.
+
+    ``near``: ``around`` of both.  With a(b) = b and its neighbours: endpoints P = sum over own bags of n_b times the sum over a(b)
+    of S, minus own cells; W is the same inside the notebook, and edges are P - W/2.
+    """
+    full = bag_counts.join(near.groupBy("bag_id").agg(F.sum("r").alias("s")), "bag_id").join(near, ["bag_id", "repo"], "left")
+    inside = written(links_inside(pairs, bag_counts).groupBy("nb_id").agg((2 * F.sum(F.col("n") * F.col("m"))).alias("linked")), "inside")
     z = lambda c: F.coalesce(F.col(c), F.lit(0))
     cells = bag_counts.groupBy("nb_id").agg(F.sum("n").alias("cells"), F.sum(F.col("n") * F.col("n")).alias("same"))
     p = full.groupBy("nb_id", "repo").agg(F.sum(F.col("n") * F.col("s")).alias("p"), F.sum(F.col("n") * z("r")).alias("p0"))

@@ -154,3 +154,52 @@ def test_triangles_by_colours(spark, links):
         assert out.agg(F.sum("n")).first()[0] == want > 0
         assert "SortMergeJoin" not in out._jdf.queryExecution().toString()
     assert nearmiss.triangles(edges.where("false")).count() == 0
+
+
+def near_misses(rng, n):
+    """Bags of which every second one is near its predecessor."""
+    rows = []
+    for i in range(n):
+        base = [f"w{int(x)}" for x in rng.integers(0, 900, 20)]
+        rows += [base, [*base[:-2], f"new{i}", f"new{i}"]]
+    return rows
+
+
+def test_rounds_have_every_bag_and_pair_and_hold_a_share_of_the_shuffles(spark, monkeypatch):
+    """A large input is worked on in rounds: same bags, same pairs, and the most that is shuffled at once is a share of it."""
+    rows = [(i, f"r{i % 3}", "en", i, " ".join(x)) for i, x in enumerate(near_misses(np.random.default_rng(5), 300))]
+    cells = spark.createDataFrame([*rows, *rows[:50]], "nb_id int, repo string, lang string, pos int, code string").withColumn("loc", F.lit(1))
+    tok = nearmiss.tokenised(cells).drop("code")
+    bags = {r.bag_id: r.mult for r in nearmiss.distinct_bags(tok).collect()}
+    want = {(r.a, r.b, r.overlap) for r in nearmiss.brute_force(nearmiss.distinct_bags(tok)).collect()}
+    left = lambda: {p for kind in ("tokens", "proposed", "blocks", "candidates") for p in Path(session.shared_dir(spark).removeprefix("file:")).glob(f"{kind}_*")}
+    earlier, seen, before = left(), [], nearmiss.visits
+    monkeypatch.setattr(nearmiss, "visits", lambda *a, **k: seen.append(before(*a, **k)) or seen[-1])
+    for size, rounds in ((1 << 20, 1), (64, 4)):
+        monkeypatch.setattr(nearmiss, "GROUP", size)
+        seen.clear()
+        kept, known = nearmiss.collapsed(tok)
+        assert {r.bag_id: r.mult for r in known.collect()} == bags and known.select("node").distinct().count() == len(bags) and kept.count() == 650
+        pairs = nearmiss.numbered_pairs(known)
+        assert {(r.a, r.b, r.overlap) for r in pairs.collect()} == want and len(want) >= 300
+        counts = [x.count() for x in seen]
+        assert len(counts) == rounds and max(counts) <= 1.6 * sum(counts) / rounds
+        for r in pairs.limit(3).collect():
+            assert {r.x, r.y} == {x.node for x in known.where(F.col("bag_id").isin(r.a, r.b)).collect()}
+    assert left() == earlier
+
+
+def test_only_bags_of_a_pair_travel(spark):
+    known = spark.createDataFrame([(n, f"b{n}") for n in (0, 1, 7, 8, 32767, 32768, 32769, (1 << 33) + 5, (3 << 56) + 12)], "node long, bag_id string")
+    for want in ({0, 8, 32768}, {1, 7, 32767, 32769, (3 << 56) + 12}, {(1 << 33) + 5}, set()):
+        ends = spark.createDataFrame([(n,) for n in [*want, *want, 40000]], "node long")
+        assert {r.node for r in nearmiss.among(known, ends).collect()} == want
+
+
+def test_links_inside_look_through_the_rarer_bag(spark):
+    """Bag 0 is in 200 notebooks, its 40 neighbours in one each: 40 rows are looked up, not 8000."""
+    counts = spark.createDataFrame([(i, 0, 1 + i % 2) for i in range(200)] + [(i, 1 + i, 3) for i in range(40)], "nb_id long, bag_id long, n long")
+    pairs = spark.createDataFrame([(0, 1 + i) for i in range(40)], "a long, b long")
+    got = connections.links_inside(pairs, counts)
+    assert sorted((r.nb_id, r.n * r.m) for r in got.collect()) == [(i, 3 * (1 + i % 2)) for i in range(40)]
+    assert {r.nb_id for r in nearmiss.self_clones(counts, pairs).collect()} == {i for i in range(200) if i % 2 or i < 40}
