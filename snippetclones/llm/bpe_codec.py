@@ -21,25 +21,43 @@ import unicodedata
 
 import ahocorasick
 import pyarrow as pa
-import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from . import bpe_model
 from .char_classes import CharClasses, library_classes
-from .common import TwoGenerations, fresh_name, held, in_order, named
-
-#: The word pattern that the tokenizer file states.
-WORDS = r"'s|'t|'re|'ve|'m|'ll|'d|[{L}]+|[{N}]|[^{S}{L}{N}]+"
-ASCII_WORDS = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-zA-Z]+|[0-9]|[^\sa-zA-Z0-9\x1c-\x1f]+|[\x1c-\x1f]+")
-SPACES = regex.compile(r"\p{White_Space}+")
+from .common import fresh_name, held, in_order, named
+
+#: The word pattern that the tokenizer file states, letters first (an apostrophe is neither letter nor number).
+WORDS = r"[{L}]+|[{N}]|'s|'t|'re|'ve|'m|'ll|'d|[^{S}{L}{N}]+"
+ASCII_WORDS = re.compile(r"[a-z]+|[0-9]|'(?:[stmd]|re|ve|ll)|[^\sa-z0-9\x1c-\x1f]+|[\x1c-\x1f]+")  # of lower-cased text
+_WHITE = "\t-\r\x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000"
+#: Runs of white space that aren't one blank already.
+SPACES = re.compile(f"[{_WHITE}][ {_WHITE}]*| [ {_WHITE}]+")
 #: Scripts whose composed and lower-case forms no Unicode version since 4.1 changes; other texts are normalised by the library.
 SETTLED = re.compile("[\x00-\u036f\u0374-\u0377\u037a-\u037f\u0384-\u03ff\u0400-\u0527\u1e00-\u1eff\u2000-\u2064\u20a0-\u20b5\u2100-\u214e\u2190-\u23e7\u2500-\u26ff\u3000-\u30ff\u4e00-\u9fbb\uac00-\ud7a3]*")
 MEMO_WORDS = 130_000
 LONGEST_MEMO = 64
 
 
+class WordMemo(dict):
+    """What ``make`` gives for a word, looked up in one step; two generations of ``MEMO_WORDS`` words, longer words than ``LONGEST_MEMO`` are not kept."""
+
+    def __init__(self, make):
+        super().__init__()
+        self.make, self.old = make, {}
+
+    def __missing__(self, word):
+        got = self.old.get(word) or self.make(word)
+        if len(word) <= LONGEST_MEMO:
+            if len(self) >= MEMO_WORDS:
+                self.old = dict(self)
+                self.clear()
+            self[word] = got
+        return got
+
+
 class BpeCodec:
     """``encode`` text to ids and ``decode`` ids to text, as the public tokenizer file defines."""
 
@@ -53,16 +71,22 @@ class BpeCodec:
         self.length = {i: len(s) for s, i in self.model.id_of.items()}
         marks = sorted(self.model.specials, key=len, reverse=True)
         self.marks = re.compile("(" + "|".join(map(re.escape, marks)) + ")") if marks else None
-        self.memo = TwoGenerations(MEMO_WORDS)
+        self.memo = WordMemo(self._word)
 
     def word_ids(self, word: str) -> list[int]:
         """Ids of one word: the dynamic programme over its prefixes."""
-        s, compatible = self.model.spell(word), self.model.compatible
+        s, compatible, tested = self.model.spell(word), self.model.compatible, self.model.tested
         last: list[int] = [-1] * (len(s) + 1)
         for end, (k, token) in self.matcher.iter(s):
-            start = end + 1 - k
-            if start == 0 or (last[start] >= 0 and compatible(last[start], token)):
+            if last[end + 1] >= 0:
+                continue  # only one token can be the last one
+            before = last[end + 1 - k]
+            if k > end:
                 last[end + 1] = token
+            elif before >= 0:
+                fits = tested(before << 20 | token)
+                if compatible(before, token) if fits is None else fits:
+                    last[end + 1] = token
         ids, at = [], len(s)
         while at:
             ids.append(last[at])
@@ -92,25 +116,21 @@ class BpeCodec:
 
     def _word(self, word: str) -> tuple[bytes, str]:
         ids = self.word_ids(word)
-        got = struct.pack(f"<{len(ids)}I", *ids), self.decode(ids)
-        if len(word) <= LONGEST_MEMO:
-            self.memo.put(word, got)
-        return got
+        return struct.pack(f"<{len(ids)}I", *ids), self.decode(ids)
 
     def pack(self, text: str | None) -> tuple[bytes, str]:
         """Ids as little-endian unsigned 32-bit integers, and their decoding."""
         if not text:
             return b"", ""
-        memo, make, ids, shown = self.memo, self._word, [], []
+        memo, ids, shown = self.memo, [], []
         for k, part in enumerate(self.marks.split(text) if self.marks else [text]):
             if k % 2:
                 ids.append(struct.pack("<I", self.model.specials[part]))
                 shown.append(part)
             elif part:
-                for word in self.words(part):
-                    got = memo.young.get(word) or memo.get(word) or make(word)
-                    ids.append(got[0])
-                    shown.append(got[1])
+                got = [memo[word] for word in self.words(part)]
+                ids += [x for x, _ in got]
+                shown += [x for _, x in got]
         return b"".join(ids), " ".join(shown)
 
     def encode(self, text: str | None) -> list[int]:

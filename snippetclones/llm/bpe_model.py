@@ -60,6 +60,7 @@ class MergeModel:
             self.parts.setdefault(whole, (left, right, r))
         self.units = [byte_alphabet()[b] for b in range(256)]
         self._memo: dict[int, bool] = {}
+        self.tested = self._memo.get  # by ``a << 20 | b``: what ``compatible`` has found, or None
 
     def spell(self, word: str) -> str:
         """A word in the model's alphabet, with the end mark where the model has one."""

@@ -9,6 +9,7 @@ use its built-in classes, the others explicit sets.
 
 from __future__ import annotations
 
+import re
 from bisect import bisect_right
 from dataclasses import dataclass
 from functools import cached_property, lru_cache
@@ -58,7 +59,7 @@ class CharClasses:
     @cached_property
     def strange(self):
         """Finds a code point on which the ``regex`` module differs; None where there is none at all."""
-        return regex.compile(f"[{_set(self.unlike)}]") if self.unlike else None
+        return re.compile(f"[{_set(self.unlike)}]") if self.unlike else None
 
     def needs_exact(self, text: str) -> bool:
         return self.strange is not None and not text.isascii() and self.strange.search(text) is not None

@@ -37,6 +37,22 @@ def test_bpe_equals_library(texts):
         assert own.decode(want) == ref.decode(want, skip_special_tokens=False)
 
 
+def test_bpe_tests_no_token_once_a_prefix_has_its_last_one(texts, monkeypatch):
+    """Fewer pairs are tested than tokens end in the words, and memo and patterns give the same ids in whatever order."""
+    path = queries.tokenizer_path("word_bpe_49k.json")
+    monkeypatch.setattr(bpe_codec, "MEMO_WORDS", 50)
+    own = bpe_codec.BpeCodec(path)
+    calls, compatible = [], own.model.compatible
+    monkeypatch.setattr(own.model, "compatible", lambda a, b: calls.append((a, b)) or compatible(a, b))
+    monkeypatch.setattr(own.model, "tested", lambda key: None, raising=False)
+    words = list(dict.fromkeys(w for t in texts[:20] for w in own.words(t or "")))[:400]
+    ends = sum(k <= end for w in words for end, (k, _) in own.matcher.iter(own.model.spell(w)))
+    ids = [own.word_ids(w) for w in words]
+    assert 0 < len(calls) < ends
+    assert [list(struct.unpack(f"<{len(x) // 4}I", x)) for x in (own.memo[w][0] for w in [*words, *words[::-1]])] == ids + ids[::-1]
+    assert len(own.memo) <= 50 >= len(own.memo.old)
+
+
 def test_bpe_frame(spark):
     out = bpe_codec.encode_documents(docs(spark, ["The cat", None, "", "The cat"]), queries.tokenizer_path("word_bpe_49k.json"))
     got = out.select("ids_le", "decoded", bpe_codec.ids_array().alias("ids")).collect()
