@@ -20,7 +20,7 @@ from snippetclones.llm import bpe_codec, line_dedup, mixing, quality, simhash
 from snippetclones.llm.common import named, release, table, written
 from snippetclones.llm.queries import tokenizer_path
 
-#: Near duplicates: five-word shingles with a similarity of 0.8 or more, every such pair; distinct-word fingerprints within 7 bits link large groups first.
+#: Near duplicates: five-word shingles with a similarity of 0.8 or more, every such pair; those within 7 bits by fingerprints of distinct words, the rest by a prefix join.
 NEAR = {"radius": 7, "segments": 4, "features": "distinct", "verify": (5, 0.8)}
 
 

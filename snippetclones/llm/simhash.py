@@ -12,15 +12,16 @@ Work is done on classes of equal fingerprints (or equal texts), so a group of
 exact copies is one node, and distinct fingerprints bound each node's links.
 With ``verify``, links are exactly the pairs whose sets of word shingles have a
 Jaccard similarity of the threshold or more, however far apart their
-fingerprints are.  Fingerprints only give a cheap first round, each node with
-the least node of its buckets; a prefix join on shingles, rarest first, proposes
-the rest without loss.  Shingles that no other text holds are counted and never
-joined; their number, the set's size and a parity sketch bound a pair's
-similarity from above inside the join, so that pairs that can't reach the
-threshold never leave it, and those left are compared exactly.  Each shingle's
-most typical node is tried first, and the full join skips pairs that are already
-connected - no link between components is lost, and a large group of near
-copies doesn't become all its pairs.
+fingerprints are.  Links within ``radius`` bits come from fingerprints alone.
+Links beyond come from a prefix join on shingles, rarest first, which leaves out
+what lies within ``radius`` and loses nothing else.  Shingles that no other text
+holds are counted and never joined; their number, the set's size and a parity
+sketch bound a pair's similarity from above inside the joins, so that pairs that
+can't reach the threshold never leave them, and those left are compared exactly.
+A text without a shared shingle in its prefix has no link and isn't probed.  The
+most typical node within ``radius``, and of each shingle, is tried first, and the
+full joins skip pairs that are already connected - no link between components is
+lost, and a large group of near copies doesn't become all its pairs.
 
 Edge cases: null and empty texts have fingerprint zero and link like others;
 rows that repeat a doc_id stay apart; a null doc_id counts as larger than any
@@ -36,8 +37,8 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..operators.components import components
-from .common import cut, fresh_name, named, numbered
+from ..operators.components import components, shuffles_freed
+from .common import cut, fresh_name, named, numbered, release, written
 
 SEED = 42
 BITS = 64
@@ -129,16 +130,13 @@ def may_reach(similarity: float, x: str, y: str):
     return (F.least(a, b) >= F.greatest(a, b) * F.lit(similarity - 1e-9)) & (apart <= (a + b) * F.lit((1 - similarity) / (1 + similarity) + 1e-9))
 
 
-def near_pairs(nodes: DataFrame, radius: int, segments: int, apart: bool = False, similarity: float | None = None) -> DataFrame:
-    """Pairs ``(a, b)``, a < b, of ``nodes(node, fp[, root, m, sk0 ..])`` within ``radius`` bits, each once.
-
-    ``apart``: only across roots; ``similarity``: only pairs whose sketches leave room for it.
-    """
+def _near(nodes: DataFrame, radius: int, segments: int, apart: bool = False, similarity: float | None = None, also: tuple[str, ...] = ()) -> DataFrame:
+    """Rows ``x`` and ``y`` of ``nodes`` within ``radius`` bits, each pair once; ``also`` names further columns to keep."""
     ball = radius // segments
     if ball > 1:
         raise ValueError("radius must stay below twice the number of segments")
     parts, fp = _segments(segments), F.col("fp")
-    kept = ["node", "fp", *(["root"] if apart else []), *(["m", *SKETCH_WORDS] if similarity else [])]
+    kept = ["node", "fp", *(["root"] if apart else []), *(["m", *SKETCH_WORDS] if similarity else []), *also]
     own = F.array(*[F.struct(F.lit(s).alias("seg"), _value(fp, *p).alias("key")) for s, p in enumerate(parts)])
     table = nodes.select(*kept, F.explode(own).alias("e")).select(*kept, "e.seg", "e.key")
     entry = lambda s, p, bit: F.struct(F.lit(s).alias("seg"), (_value(fp, *p).bitwiseOR(F.lit(1 << bit))).alias("key"), F.lit(True).alias("flipped"))
@@ -157,18 +155,24 @@ def near_pairs(nodes: DataFrame, radius: int, segments: int, apart: bool = False
         match = match & (F.col("x.root") != F.col("y.root"))
     if similarity:
         match = match & may_reach(similarity, "x", "y")
-    return x.join(y, match).select(F.least("x.node", "y.node").alias("a"), F.greatest("x.node", "y.node").alias("b"))
+    return x.join(y, match)
+
+
+def near_pairs(nodes: DataFrame, radius: int, segments: int, apart: bool = False, similarity: float | None = None) -> DataFrame:
+    """Pairs ``(a, b)``, a < b, of ``nodes(node, fp[, root, m, sk0 ..])`` within ``radius`` bits, each once.
 
+    ``apart``: only across roots; ``similarity``: only pairs whose sketches leave room for it.
+    """
+    return _near(nodes, radius, segments, apart, similarity).select(F.least("x.node", "y.node").alias("a"), F.greatest("x.node", "y.node").alias("b"))
 
-def bucket_leaders(nodes: DataFrame, radius: int, segments: int, similarity: float) -> DataFrame:
-    """Pairs of each node with the least node of each of its buckets, where within ``radius`` bits and with room for ``similarity``."""
-    kept = ["node", "fp", "m", *SKETCH_WORDS]
-    own = F.array(*[F.struct(F.lit(s).alias("seg"), _value(F.col("fp"), *p).alias("key")) for s, p in enumerate(_segments(segments))])
-    rows = nodes.select(*kept, F.explode(own).alias("e")).select(*kept, "e.seg", "e.key")
-    least = rows.groupBy("seg", "key").agg(F.min(F.struct(*kept)).alias("least"), F.count("*").alias("n")).where("n > 1").select("seg", "key", "least.*")
-    x, y = rows.alias("x"), least.alias("y")
-    near = (F.col("x.node") > F.col("y.node")) & (F.bit_count(F.col("x.fp").bitwiseXOR(F.col("y.fp"))) <= radius) & may_reach(similarity, "x", "y")
-    return x.join(y, (F.col("x.seg") == F.col("y.seg")) & (F.col("x.key") == F.col("y.key")) & near).select(F.col("y.node").alias("a"), F.col("x.node").alias("b")).distinct()
+
+def near_leaders(nodes: DataFrame, radius: int, segments: int, similarity: float) -> DataFrame:
+    """Pairs of each of ``nodes(node, fp, m, sk0 .., alone)`` with the most typical node (fewest shingles of its own) within ``radius`` bits and with room for ``similarity``."""
+    typical = F.col("alone") / F.greatest("m", F.lit(1)) + F.pmod(F.xxhash64("node"), F.lit(1 << 20)) * F.lit(1e-12)  # ties fall alike for all
+    both = _near(nodes.withColumn("rank", typical), radius, segments, similarity=similarity, also=("rank",))
+    ends = F.array(*[F.struct(F.col(f"{u}.node").alias("u"), F.col(f"{v}.node").alias("v"), F.col(f"{v}.rank").alias("rank")) for u, v in ("xy", "yx")])
+    best = both.select(F.explode(ends).alias("e")).groupBy(F.col("e.u").alias("u")).agg(F.min_by("e.v", "e.rank").alias("v"))
+    return best.select(F.least("u", "v").alias("a"), F.greatest("u", "v").alias("b")).distinct()
 
 
 def shared_shingles(docs: DataFrame, size: int, total: int, text: str = "text") -> DataFrame:
@@ -238,7 +242,7 @@ def shared_shingles(docs: DataFrame, size: int, total: int, text: str = "text")
 
 
 def prefixes(nodes: DataFrame, shared: DataFrame, similarity: float) -> DataFrame:
-    """``(node, m, sk0 .., alone, item, inner)``: the shingles among which every pair of ``similarity`` or more has one in common.
+    """``(node, fp, m, sk0 .., alone, item, inner)``: the shingles among which every pair of ``similarity`` or more has one in common.
 
     All texts order shingles alike, rarest first, so the ``alone`` ones that nobody else holds lead and only shorten the prefix.
     The larger set of a pair needs its first m - ceil(s m) + 1, the other one its first m - ceil(2 s / (1 + s) m) + 1 (``inner``).
@@ -247,8 +251,8 @@ def prefixes(nodes: DataFrame, shared: DataFrame, similarity: float) -> DataFram
     known = nodes.join(held, "th").withColumn("alone", F.col("m") - F.size("held"))
     reach = lambda share: (F.col("m") - F.ceil(F.col("m") * F.lit(share) - F.lit(1e-9)) + 1 - F.col("alone")).cast("int")
     known = known.withColumn("outer", reach(similarity)).withColumn("nearer", reach(2 * similarity / (1 + similarity))).where("outer > 0")
-    first = known.select("node", "m", *SKETCH_WORDS, "alone", "nearer", F.posexplode(F.slice("held", F.lit(1), F.col("outer"))).alias("at", "e"))
-    return first.select("node", "m", *SKETCH_WORDS, "alone", F.col("e.item").alias("item"), (F.col("at") < F.col("nearer")).alias("inner"))
+    first = known.select("node", "fp", "m", *SKETCH_WORDS, "alone", "nearer", F.posexplode(F.slice("held", F.lit(1), F.col("outer"))).alias("at", "e"))
+    return first.select("node", "fp", "m", *SKETCH_WORDS, "alone", F.col("e.item").alias("item"), (F.col("at") < F.col("nearer")).alias("inner"))
 
 
 def may_meet(similarity: float, x: str, y: str):
@@ -257,20 +261,25 @@ def may_meet(similarity: float, x: str, y: str):
     return (F.col(f"{x}.alone") + F.col(f"{y}.alone") <= m * F.lit((1 - similarity) / (1 + similarity) + 1e-9)) & may_reach(similarity, x, y)
 
 
-def prefix_leaders(prefix: DataFrame, similarity: float) -> DataFrame:
-    """Pairs of each node with the most typical node (fewest shingles of its own) of each of its prefix shingles."""
-    kept = ["node", "m", *SKETCH_WORDS, "alone"]
+def beyond(radius: int, x: str, y: str):
+    """Whether two fingerprints lie more than ``radius`` bits apart."""
+    return F.bit_count(F.col(f"{x}.fp").bitwiseXOR(F.col(f"{y}.fp"))) > radius
+
+
+def prefix_leaders(prefix: DataFrame, radius: int, similarity: float) -> DataFrame:
+    """Pairs beyond ``radius`` bits of each node with the most typical node (fewest shingles of its own) of each of its prefix shingles."""
+    kept = ["node", "fp", "m", *SKETCH_WORDS, "alone"]
     least = prefix.groupBy("item").agg(F.min(F.struct((F.col("alone") / F.col("m")).alias("share"), *kept)).alias("least"), F.count("*").alias("n")).where("n > 1").select("item", "least.*")
     x, y = prefix.alias("x"), least.alias("y")
-    pair = x.join(y, (F.col("x.item") == F.col("y.item")) & (F.col("x.node") != F.col("y.node")) & may_meet(similarity, "x", "y"))
+    pair = x.join(y, (F.col("x.item") == F.col("y.item")) & (F.col("x.node") != F.col("y.node")) & beyond(radius, "x", "y") & may_meet(similarity, "x", "y"))
     return pair.select(F.least("x.node", "y.node").alias("a"), F.greatest("x.node", "y.node").alias("b")).distinct()
 
 
-def prefix_pairs(prefix: DataFrame, similarity: float) -> DataFrame:
-    """Pairs ``(a, b)`` of ``prefix(.., root)`` across roots that share a prefix shingle and may have ``similarity``: none that has it is missing."""
+def prefix_pairs(prefix: DataFrame, radius: int, similarity: float) -> DataFrame:
+    """Pairs ``(a, b)`` of ``prefix(.., root)`` across roots and beyond ``radius`` bits that share a prefix shingle and may have ``similarity``: none that has it is missing."""
     x, y = prefix.alias("x"), prefix.where("inner").alias("y")
     larger = (F.col("x.m") > F.col("y.m")) | ((F.col("x.m") == F.col("y.m")) & (F.col("x.node") > F.col("y.node")))
-    pair = x.join(y, (F.col("x.item") == F.col("y.item")) & larger & (F.col("x.root") != F.col("y.root")) & may_meet(similarity, "x", "y"))
+    pair = x.join(y, (F.col("x.item") == F.col("y.item")) & larger & (F.col("x.root") != F.col("y.root")) & beyond(radius, "x", "y") & may_meet(similarity, "x", "y"))
     return pair.select(F.least("x.node", "y.node").alias("a"), F.greatest("x.node", "y.node").alias("b")).distinct()
 
 
@@ -329,12 +338,16 @@ def near_duplicates(docs: DataFrame, radius: int = 3, segments: int = 2, feature
     if verify:
         nodes = cut(nodes)
         total = nodes.agg(F.coalesce(F.sum("m"), F.lit(0))).first()[0]
-        prefix = cut(prefixes(nodes, shared_shingles(rows, verify[0], total, text), verify[1]))
-        early = bucket_leaders(nodes, radius, segments, verify[1]).union(prefix_leaders(prefix, verify[1])).distinct()
-        early = cut(verified(cut(early), rows, rid, *verify, text))
-        roots = cut(components(early))
-        placed = prefix.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
-        edges = early.union(verified(cut(prefix_pairs(cut(placed), verify[1])), rows, rid, *verify, text))
+        with shuffles_freed(docs.sparkSession):  # shingles and probes are large, what is left of them is small
+            prefix = written(prefixes(nodes, shared_shingles(rows, verify[0], total, text), verify[1]), "prefix")
+            active = written(prefix.select("node", "fp", "m", *SKETCH_WORDS, "alone").distinct(), "active")
+            early = written(near_leaders(active, radius, segments, verify[1]).union(prefix_leaders(prefix, radius, verify[1])).distinct(), "early")
+            linked = cut(verified(early, rows, rid, *verify, text))
+            roots = cut(components(linked))
+            placed = lambda df: df.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
+            late = written(near_pairs(placed(active), radius, segments, True, verify[1]).union(prefix_pairs(placed(prefix), radius, verify[1])), "late")
+            edges = cut(linked.union(verified(late, rows, rid, *verify, text)))
+        release(prefix, active, early, late)
     else:
         edges = near_pairs(nodes.select("node", "fp"), radius, segments)
     member = cut(components(edges))

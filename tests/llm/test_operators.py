@@ -221,6 +221,35 @@ def test_verified_near_duplicates_exact(spark):
     assert {r.doc_id: r.component_id for r in got.collect()} == dict(enumerate(root))
 
 
+def test_links_within_the_radius_come_from_fingerprints_alone(spark, monkeypatch):
+    """Without what fingerprints find exactly the links beyond the radius are left, without the prefix join exactly those within it."""
+    rng = np.random.default_rng(6)
+    base = [[f"v{int(x)}" for x in rng.integers(0, 3000, int(n))] for n in rng.integers(20, 200, 25)]
+    texts = [*base, *[w + [f"u{i}_{j}" for j in range(max(1, round(len(w) * share)))] for i, w in enumerate(base) for share in (0.04, 0.12)]]
+    sets = [set(zip(*(w[i:] for i in range(5)), strict=False)) for w in texts]
+    prints = [simhash.fingerprint(simhash.hashes([x.encode() for x in dict.fromkeys(w)])) & (1 << 64) - 1 for w in texts]
+    near, far = (list(range(len(texts))) for _ in range(2))
+    for i, x in enumerate(sets):
+        for j in range(i):
+            if 10 * len(x & sets[j]) >= 8 * len(x | sets[j]):
+                root = near if (prints[i] ^ prints[j]).bit_count() <= 7 else far
+                low, high = sorted((root[i], root[j]))
+                root[:] = [low if r == high else r for r in root]
+    assert all(sum(r != i for i, r in enumerate(root)) > 5 for root in (near, far))
+    d = spark.createDataFrame([(i, " ".join(w)) for i, w in enumerate(texts)], "doc_id long, text string")
+
+    def roots_without(*names):
+        with monkeypatch.context() as m:
+            for name in names:
+                full = getattr(simhash, name, None)
+                m.setattr(simhash, name, lambda *a, full=full, **k: full(*a, **k).where("false"), raising=False)
+            got = simhash.near_duplicates(d, radius=7, segments=4, features="distinct", verify=(5, 0.8))[0]
+            return [r.component_id for r in got.orderBy("doc_id").collect()]
+
+    assert roots_without("_near") == far
+    assert roots_without("prefix_leaders", "prefix_pairs") == near
+
+
 def test_mixing_targets_and_fit(spark):
     sizes = spark.createDataFrame([("a", 10), ("b", 100), ("c", 1000), (None, 0)], "source string, source_size long")
     got = {r.source: r.target for r in mixing.targets(sizes).collect()}
