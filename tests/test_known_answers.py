@@ -100,6 +100,12 @@ def test_adjustments(spark):
     assert sorted(round(r.adjusted, 10) for r in stats.adjust(t, "bonferroni").collect()) == [0.04, 0.08, 0.12, 0.16]
 
 
+@pytest.mark.parametrize("x", [0.5, 12.732684, 31.870802, 50.0, 70.0, 127.3, 400.0])
+def test_chi2_tail_of_three_degrees_in_closed_form(x):
+    want = math.erfc(math.sqrt(x / 2)) + math.sqrt(2 * x / math.pi) * math.exp(-x / 2)
+    assert tails.log_p("chi2", x, 3) == pytest.approx(math.log(want), rel=1e-12)
+
+
 @pytest.mark.parametrize("kind,x,a,b,p", [("normal", 1.959964, 0, 0, 0.05), ("chi2", 7.814728, 3, 0, 0.05), ("t", 2.228139, 10, 0, 0.05), ("f", 3.708265, 3, 10, 0.05)])
 def test_tails(kind, x, a, b, p):
     assert tails.p_value(kind, x, a, b) == pytest.approx(p, rel=1e-5)
