@@ -2,6 +2,7 @@
 
 import itertools
 import time
+from collections import Counter
 from pathlib import Path
 
 import numpy as np
@@ -203,3 +204,29 @@ def test_links_inside_look_through_the_rarer_bag(spark):
     got = connections.links_inside(pairs, counts)
     assert sorted((r.nb_id, r.n * r.m) for r in got.collect()) == [(i, 3 * (1 + i % 2)) for i in range(40)]
     assert {r.nb_id for r in nearmiss.self_clones(counts, pairs).collect()} == {i for i in range(200) if i % 2 or i < 40}
+
+
+@pytest.mark.parametrize("dense", [0, 5, 1 << 40])
+def test_brute_force_counts_all_pairs_where_bags_meet(spark, monkeypatch, dense):
+    """Every pair, by products or one by one, of like and unlike sizes: only bags travel, twice a round, and no table of shared tokens is made."""
+    rng = np.random.default_rng(11)
+    rows = [[f"w{int(x)}" for x in rng.zipf(1.5, int(n)) % 40] for n in rng.integers(1, 60, 50)]
+    rows += [[*x[1:], f"new{i}"] for i, x in enumerate(rows[:25])] + [["the"] * 300, ["the"] * 290 + ["of"] * 8, ["only"], []]
+    ids = {f"b{i:02d}": sorted(x) for i, x in enumerate(rows)}
+    for name in ("COLOUR", "TILE", "CHUNK", "DENSE"):
+        monkeypatch.setattr(nearmiss, name, {"COLOUR": 500, "TILE": 7, "CHUNK": 20, "DENSE": dense}[name])
+    bags = spark.createDataFrame([(i, len(x), x, 1) for i, x in ids.items()], "bag_id string, n_tok int, toks array<string>, mult long")
+    want = {}
+    for a, b in itertools.combinations(sorted(ids), 2):
+        least, most = sum((Counter(ids[a]) & Counter(ids[b])).values()), max(len(ids[a]), len(ids[b]))
+        if least and 10 * least >= 8 * most:
+            want[a, b] = (least, least / most)
+    left = lambda: set(Path(session.shared_dir(spark).removeprefix("file:")).glob("bags_*"))
+    plans, seen, written, meetings, earlier = [], [], nearmiss.C.written, nearmiss.meetings, left()
+    monkeypatch.setattr(nearmiss.C, "written", lambda df, *a: plans.append(df._jdf.queryExecution().toString()) or written(df, *a))
+    monkeypatch.setattr(nearmiss, "meetings", lambda *a: seen.append(meetings(*a).count()) or meetings(*a))
+    out = nearmiss.brute_force(bags)
+    assert sorted((r.a, r.b, r.overlap, r.sim) for r in out.collect()) == [(*k, *v) for k, v in sorted(want.items())] and len(want) > 20
+    assert len(seen) > 1 and set(seen) == {2 * (len(ids) - 1)}
+    assert not any("Join" in p for p in [*plans, out._jdf.queryExecution().toString()]) and out.schema["overlap"].dataType.typeName() == "integer"
+    assert nearmiss.brute_force(bags.where("false")).count() == 0 and left() == earlier
