@@ -6,6 +6,7 @@ from collections import Counter
 from pathlib import Path
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -206,27 +207,55 @@ def test_links_inside_look_through_the_rarer_bag(spark):
     assert {r.nb_id for r in nearmiss.self_clones(counts, pairs).collect()} == {i for i in range(200) if i % 2 or i < 40}
 
 
-@pytest.mark.parametrize("dense", [0, 5, 1 << 40])
-def test_brute_force_counts_all_pairs_where_bags_meet(spark, monkeypatch, dense):
-    """Every pair, by products or one by one, of like and unlike sizes: only bags travel, twice a round, and no table of shared tokens is made."""
+def unlike_bags():
+    """Bags of like and unlike sizes with repeated tokens by id, and their near pairs at 0.8 by plain counting."""
     rng = np.random.default_rng(11)
     rows = [[f"w{int(x)}" for x in rng.zipf(1.5, int(n)) % 40] for n in rng.integers(1, 60, 50)]
-    rows += [[*x[1:], f"new{i}"] for i, x in enumerate(rows[:25])] + [["the"] * 300, ["the"] * 290 + ["of"] * 8, ["only"], []]
+    rows += [[*x[1:], f"new{i}"] for i, x in enumerate(rows[:25])] + [["the"] * 300, ["the"] * 290 + ["of"] * 8, ["only"]]
     ids = {f"b{i:02d}": sorted(x) for i, x in enumerate(rows)}
-    for name in ("COLOUR", "TILE", "CHUNK", "DENSE"):
-        monkeypatch.setattr(nearmiss, name, {"COLOUR": 500, "TILE": 7, "CHUNK": 20, "DENSE": dense}[name])
-    bags = spark.createDataFrame([(i, len(x), x, 1) for i, x in ids.items()], "bag_id string, n_tok int, toks array<string>, mult long")
     want = {}
     for a, b in itertools.combinations(sorted(ids), 2):
         least, most = sum((Counter(ids[a]) & Counter(ids[b])).values()), max(len(ids[a]), len(ids[b]))
         if least and 10 * least >= 8 * most:
             want[a, b] = (least, least / most)
+    return ids, want
+
+
+def test_brute_force_counts_all_pairs_where_bags_meet(spark, monkeypatch):
+    """Every pair in several rounds: only bags travel, twice a round, and no table of shared tokens is made."""
+    ids, want = unlike_bags()
+    bags = spark.createDataFrame([*((i, len(x), x, 1) for i, x in ids.items()), ("none", 0, [], 1)], "bag_id string, n_tok int, toks array<string>, mult long")
+    monkeypatch.setattr(nearmiss, "COLOUR", 500)
     left = lambda: set(Path(session.shared_dir(spark).removeprefix("file:")).glob("bags_*"))
     plans, seen, written, meetings, earlier = [], [], nearmiss.C.written, nearmiss.meetings, left()
     monkeypatch.setattr(nearmiss.C, "written", lambda df, *a: plans.append(df._jdf.queryExecution().toString()) or written(df, *a))
     monkeypatch.setattr(nearmiss, "meetings", lambda *a: seen.append(meetings(*a).count()) or meetings(*a))
     out = nearmiss.brute_force(bags)
     assert sorted((r.a, r.b, r.overlap, r.sim) for r in out.collect()) == [(*k, *v) for k, v in sorted(want.items())] and len(want) > 20
-    assert len(seen) > 1 and set(seen) == {2 * (len(ids) - 1)}
+    assert len(seen) > 1 and set(seen) == {2 * len(ids)}
     assert not any("Join" in p for p in [*plans, out._jdf.queryExecution().toString()]) and out.schema["overlap"].dataType.typeName() == "integer"
     assert nearmiss.brute_force(bags.where("false")).count() == 0 and left() == earlier
+
+
+@pytest.mark.parametrize("dense", [1, 5, 1 << 40])
+def test_all_overlaps_of_tiles(monkeypatch, dense):
+    """Pair by pair, by products of matrices, or both: the same sums, inside a colour and between two."""
+    ids, want = unlike_bags()
+    for name, value in {"TILE": 7, "CHUNK": 20, "PIECE": 9, "SLICE": 16, "DENSE": dense}.items():
+        monkeypatch.setattr(nearmiss, name, value)
+    bags = pa.RecordBatch.from_pydict({"bag_id": list(ids), "n_tok": [len(x) for x in ids.values()], "bag": [" ".join(x) for x in ids.values()]})
+    runs = pa.Table.from_batches(nearmiss.run_lengths([bags]))
+    for colours in ([0] * len(ids), [i % 3 // 2 for i in range(len(ids))]):
+        of = dict(zip(ids, colours, strict=True))
+        found = nearmiss.all_overlaps(runs.append_column("colour", pa.array(colours, pa.int32())), 8, any(colours)).to_pylist()
+        got = sorted((*sorted((r["ida"], r["idb"])), r["overlap"], r["sim"]) for r in found)
+        assert got == [(*k, *v) for k, v in sorted(want.items()) if not any(colours) or of[k[0]] != of[k[1]]] and got
+    assert nearmiss.all_overlaps(runs.append_column("colour", pa.array([0] * len(ids), pa.int32())), 8, True).num_rows == 0
+
+
+def test_brute_force_counts_a_pair_once_when_colours_are_empty(spark):
+    """Two bags of one colour meet in the group of their colour only, not also where the other colour is missing."""
+    rows = [(f"b{i}", 5, ["a", "b", "c", "d", f"x{i}"], 1) for i in range(5)]
+    for a, b in itertools.combinations(rows, 2):
+        bags = spark.createDataFrame([a, b], "bag_id string, n_tok int, toks array<string>, mult long")
+        assert [tuple(r) for r in nearmiss.brute_force(bags).collect()] == [(a[0], b[0], 4, 0.8)]
